@@ -18,7 +18,8 @@ def running_total(
     """Add ``name``: the sum of ``value`` over all earlier rows of the same ``keys``.
 
     ``bucket`` must be a non-decreasing function of ``order``. Rows are windowed within a bucket only;
-    bucket totals, one row a bucket, give each bucket its offset. ``df`` is read twice.
+    bucket totals, one row a bucket, give each bucket its offset. ``df`` is read twice; keys and
+    buckets must not be null.
     """
     keys = keys or []
     placed = df.withColumn("_bucket", bucket).withColumn("_value", value)
@@ -27,11 +28,8 @@ def running_total(
     offsets = totals.withColumn("_offset", F.coalesce(F.sum("_total").over(before), F.lit(0))).drop("_total")
     inside = W.partitionBy(*[F.col(k) for k in keys], F.col("_bucket")).orderBy(*order).rowsBetween(W.unboundedPreceding, -1)
     local = placed.withColumn("_local", F.coalesce(F.sum("_value").over(inside), F.lit(0)))
-    match = F.col("l._bucket") == F.col("o._bucket")
-    for k in keys:
-        match = match & F.col(f"l.{k}").eqNullSafe(F.col(f"o.{k}"))
     return (
-        local.alias("l")
-        .join(offsets.alias("o"), match)
-        .select(*[F.col(f"l.{c}").alias(c) for c in df.columns], (F.col("l._local") + F.col("o._offset")).alias(name))
+        local.join(offsets, [*keys, "_bucket"])
+        .withColumn(name, F.col("_local") + F.col("_offset"))
+        .select(*df.columns, name)
     )
