@@ -37,3 +37,36 @@ SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base
        NOT base_failed AND n_soft <= CASE WHEN rate > 0.5 THEN 0 ELSE 1 END AS kept
 FROM f JOIN r ON f.source IS NOT DISTINCT FROM r.source
 """
+
+ORACLES["op6_chat_format"] = r"""
+WITH t AS (
+  SELECT conv_id, turn, coalesce(role, '') AS role, coalesce(text, '') AS text FROM conversations
+  UNION ALL SELECT -7, 0, 'user', '\### Assistant: </turn> ok'
+  UNION ALL SELECT -7, 1, 'assistant', '\### Assistant: </turn> ok'),
+e AS (
+  SELECT *, length(replace(replace(text, '\', '\\'), '<|', '<\|')) + length(role) + length('<|turn|>') + 1
+            + length('<|end|>') + 1 AS n FROM t)
+SELECT conv_id, count(*) AS n_turns,
+  sha256(string_agg(role || chr(10) || text || chr(10), '' ORDER BY turn, role, text)) AS turns_sha256,
+  CAST(coalesce(sum(length(text)) FILTER (role = 'assistant'), 0) AS BIGINT) AS loss_chars,
+  sha256(coalesce(string_agg(text, '' ORDER BY turn, role, text) FILTER (role = 'assistant'), '')) AS loss_sha256,
+  CAST(sum(n) AS BIGINT) AS formatted_chars
+FROM e GROUP BY conv_id
+"""
+
+ORACLES["op9_line_dedup"] = r"""
+WITH d AS (SELECT row_number() OVER () AS rid, doc_id, coalesce(text, '') AS body FROM documents),
+l AS (
+  SELECT rid, doc_id, i, string_split(body, chr(10))[i] AS line
+  FROM (SELECT *, unnest(range(1, len(string_split(body, chr(10))) + 1)) AS i FROM d)),
+k AS (
+  SELECT *, translate(regexp_replace(regexp_replace(line, '^[\x20\x09-\x0D]+', ''), '[\x20\x09-\x0D]+$', ''),
+    'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') AS key FROM l),
+c AS (
+  SELECT key, max(doc_id) AS keeper FROM k WHERE length(key) >= 20
+  GROUP BY key HAVING count(DISTINCT rid) >= 3)
+SELECT doc_id, count(*) AS n_lines, count(*) FILTER (c.key IS NOT NULL AND doc_id IS DISTINCT FROM keeper) AS n_dropped,
+  sha256(coalesce(string_agg(line, chr(10) ORDER BY i) FILTER (c.key IS NULL OR doc_id IS NOT DISTINCT FROM keeper), '')) AS kept_sha256
+FROM k LEFT JOIN c ON k.key = c.key GROUP BY rid, doc_id
+"""
+
