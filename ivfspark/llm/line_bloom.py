@@ -92,6 +92,13 @@ def suspects_filter(docs: DataFrame, bits: int, least_chars: int = LEAST_CHARS)
         for number, once, twice in filters.slices():
             yield pa.RecordBatch.from_arrays([pa.array([number]), pa.array([once]), pa.array([twice])], ["slice", "once", "twice"])
 
+    built = docs.select("text").mapInArrow(build, "slice long, once binary, twice binary")
+    return merge_filters(built, bits)
+
+
+def merge_filters(built: DataFrame, bits: int) -> np.ndarray:
+    """The twice filter of all tasks' ``(slice, once, twice)``, packed: ``bits / 8`` bytes."""
+
     def merge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         merged: dict[int, list[np.ndarray]] = {}
         unpack = lambda raw: np.frombuffer(zlib.decompress(raw), np.uint8)
@@ -107,14 +114,20 @@ def suspects_filter(docs: DataFrame, bits: int, least_chars: int = LEAST_CHARS)
             yield pa.RecordBatch.from_arrays([pa.array([number]), pa.array([twice.tobytes()])], ["slice", "twice"])
 
     step = min(SLICE_BITS, bits)
-    built = docs.select("text").mapInArrow(build, "slice long, once binary, twice binary")
-    rows = built.repartition(bits // step, "slice").mapInArrow(merge, "slice long, twice binary").collect()  # bits / 8 bytes
+    rows = built.repartition(bits // step, "slice").mapInArrow(merge, "slice long, twice binary").collect()
     packed = np.zeros(bits // 8, np.uint8)
     for r in rows:
         packed[r.slice * (step // 8) : (r.slice + 1) * (step // 8)] = np.frombuffer(r.twice, np.uint8)
     return packed
 
 
+def has_bits(packed: np.ndarray, hashes: np.ndarray, bits: int) -> np.ndarray:
+    """Whether a packed filter may hold each hash."""
+    a, b = _places(hashes, bits)
+    bit = lambda at: packed[at >> 3] >> (7 - (at & 7)).astype(np.uint8) & 1
+    return (bit(a) & bit(b)).astype(bool)
+
+
 def filter_bits(total_bytes: int, most: int = MOST_BITS) -> int:
     """Sixteen bits for every 64 bytes of text, as a power of two."""
     return max(1 << 12, min(most, 1 << max(1, total_bytes // 4).bit_length()))
@@ -128,8 +141,6 @@ def dedup_lines(docs: DataFrame, least_chars: int = LEAST_CHARS, least_docs: int
     shared = source.sparkSession.sparkContext.broadcast(suspects_filter(source, bits, least_chars))  # bits / 8 bytes at most
 
     def suspect(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        packed = shared.value
-        has = lambda at: packed[at >> 3] >> (7 - (at & 7)).astype(np.uint8) & 1
         for batch in batches:
             owners, keys = [], []
             for doc, text in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
@@ -138,8 +149,8 @@ def dedup_lines(docs: DataFrame, least_chars: int = LEAST_CHARS, least_docs: int
                 keys += own
             if not keys:
                 continue
-            a, b = _places(np.fromiter(map(_hash, keys), np.uint64, len(keys)), bits)
-            hit = np.flatnonzero(has(a) & has(b)).tolist()
+            hashes = np.fromiter(map(_hash, keys), np.uint64, len(keys))
+            hit = np.flatnonzero(has_bits(shared.value, hashes, bits)).tolist()
             digests = [hashlib.md5(keys[i]).digest() for i in hit]
             yield pa.RecordBatch.from_arrays([pa.array([owners[i] for i in hit], pa.int64()), pa.array(digests, pa.binary())], ["doc_id", "digest"])
 

@@ -20,6 +20,12 @@ def op8_host_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def op1_html_wrappers(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from ivfspark.llm.html_wrapper import extract
+
+    return extract(table(spark, sf_dir, "pages")).withColumn("n_chars", F.length("text").cast("long"))
+
+
 def op2_wavelet_tokens(spark: SparkSession, sf_dir: str) -> DataFrame:
     from ivfspark.llm.token_output import token_output
 
@@ -38,6 +44,13 @@ def op4_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return length_histogram(table(spark, sf_dir, "documents"))
 
 
+def op5_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from ivfspark.llm.suffix_dedup import dedup_substrings
+
+    found = dedup_substrings(table(spark, sf_dir, "documents"))
+    return found.select("doc_id", "n_bytes", "n_removed", "n_spans", F.sha2("kept", 256).alias("kept_sha256"))
+
+
 def op6_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
     from ivfspark.llm.chat_format import format_rows, read_back
 
@@ -70,9 +83,11 @@ def op10_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
+        "op1_html_wrappers": op1_html_wrappers,
         "op2_wavelet_tokens": op2_wavelet_tokens,
         "op3_source_mix": op3_source_mix,
         "op4_token_counts": op4_token_counts,
+        "op5_suffix_dedup": op5_suffix_dedup,
         "op6_chat_format": op6_chat_format,
         "op7_simhash": op7_simhash,
         "op8_host_quality": op8_host_quality,
