@@ -30,6 +30,8 @@ SEED = 42
 RADIUS = 4
 TREE_ROWS = 1024
 LEAF_ROWS = 48
+#: Bit ranges that agree at least: two of six give 15 shard keys of 21 bits each.
+SPARE_RANGES = 2
 #: Shingles hashed before their bits are counted; bounds memory for very long texts.
 CHUNK = 1 << 16
 
@@ -133,17 +135,9 @@ def _masks(blocks: int, radius: int) -> list[int]:
     return [m - (1 << 64) if m >> 63 else m for m in masks]
 
 
-def _block_count(rows: int, radius: int) -> int:
-    """Ranges such that a shard of evenly spread fingerprints stays near 32 rows."""
-    blocks = radius + 1
-    while blocks < 2 * radius and rows >> (64 * (blocks - radius) // blocks) > 32:
-        blocks += 1
-    return blocks
-
-
-def links(distinct: DataFrame, radius: int = RADIUS) -> DataFrame:
+def links(distinct: DataFrame, radius: int = RADIUS, spare: int = SPARE_RANGES) -> DataFrame:
     """``distinct(fp, rep)`` to links ``(a, b)`` between reps that connect all pairs within ``radius``."""
-    masks = _masks(_block_count(distinct.count(), radius), radius)
+    masks = _masks(radius + spare, radius)
     shards = F.explode(F.array(*[F.struct(F.lit(i).alias("mask"), F.col("fp").bitwiseAND(F.lit(m)).alias("key")) for i, m in enumerate(masks)]))
     placed = distinct.select("fp", "rep", shards.alias("shard")).select("shard.mask", "shard.key", "fp", "rep")
     sizes = materialize(placed.groupBy("mask", "key").agg(F.count("*").alias("n")).where("n > 1"), "shards")
