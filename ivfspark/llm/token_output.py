@@ -99,7 +99,7 @@ def write_shards(
         if rows:
             yield shard()
 
-    dealt = source.repartitionByRange(n_parts, "doc_id", "text") if n_parts > 1 else source.coalesce(1)
+    dealt = source.repartitionByRange(n_parts, "doc_id") if n_parts > 1 else source.coalesce(1)
     schema = "part long, piece long, path string, n_docs long, n_tokens long, n_bytes long"
     written = materialize(dealt.sortWithinPartitions("doc_id", "text").mapInArrow(kernel, schema), "manifest")
     before = W.orderBy("part", "piece").rowsBetween(W.unboundedPreceding, -1)

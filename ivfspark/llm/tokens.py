@@ -1,20 +1,27 @@
 """Encoding with a public tokenizer, by pieces between spaces.
 
 The tokenizers used here drop white space before they split, so a text's ids are the ids of its pieces
-between spaces, tabs and line ends, one after the other. Each worker keeps the pieces it has met;
-``split_spaces=False`` encodes whole texts, for tokenizers where spaces matter.
+between spaces, tabs and line ends, one after the other. Each worker keeps the pieces it has met. A new
+piece of letters before ASCII signs splits once more: letters and signs are separate words to the tokenizer.
+New words of letters are encoded as one text, and cut where a token ends a word; if the cuts do not fit the
+words, and for all other pieces, each is encoded by itself. ``split_spaces=False`` encodes whole texts,
+for tokenizers where spaces matter.
 """
 
 from __future__ import annotations
 
+import os
+import re
 from collections.abc import Iterable
 
 import numpy as np
 
 TOKENIZER = "word_bpe_49k.json"
-#: Pieces kept by a worker; when full the memory starts anew.
+#: Pieces and words kept by a worker; when full the memory starts anew.
 MEMORY_PIECES = 400_000
-_SPACES = str.maketrans("\t\n\r", "   ")
+#: Letters, then ASCII signs other than the apostrophe, which the tokenizer may join to letters.
+_LETTERS_SIGNS = re.compile(r"([^\W\d_]+)([!-&(-/:-@\[-`{-~]*)\Z")
+_WORD_END = "</w>"
 _encoders: dict[tuple[str, bool], Encoder] = {}
 
 
@@ -29,29 +36,68 @@ class Encoder:
     """Text to little-endian 32-bit ids."""
 
     def __init__(self, path: str, split_spaces: bool = True):
+        os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")  # tasks already fill the cores
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
         self.split_spaces = split_spaces
+        vocabulary = self.tokenizer.get_vocab()
+        self.ends = np.zeros(max(vocabulary.values()) + 1, bool)
+        self.ends[[i for t, i in vocabulary.items() if t.endswith(_WORD_END)]] = True
         self.known: dict[str, bytes] = {"": b""}
-
-    def _ids(self, text: str) -> bytes:
-        return np.array(self.tokenizer.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
+        self.words: dict[str, bytes] = {"": b""}
+
+    def _ids(self, text: str) -> np.ndarray:
+        return np.array(self.tokenizer.encode(text, add_special_tokens=False).ids, "<u4")
+
+    def _learn_words(self, words: list[str]) -> None:
+        """Encode new words of letters together."""
+        ids = self._ids(" ".join(words))
+        cuts = np.flatnonzero(self.ends[ids]) + 1
+        if len(cuts) == len(words) and cuts[-1] == len(ids):
+            raw, at = ids.tobytes(), 0
+            for word, cut in zip(words, (cuts * 4).tolist(), strict=True):
+                self.words[word] = raw[at:cut]
+                at = cut
+        else:
+            for word in words:
+                self.words[word] = self._ids(word).tobytes()
+
+    def _learn(self, pieces: list[str]) -> None:
+        known, words = self.known, self.words
+        split: list[tuple[str, str, str]] = []
+        new: dict[str, None] = {}
+        for piece in pieces:
+            found = _LETTERS_SIGNS.match(piece)
+            word = found[1].lower() if found else ""
+            if word and word.isalpha() and "Σ" not in found[1]:  # a final sigma's lower case depends on its place
+                split.append((piece, word, found[2]))
+                if word not in words:
+                    new[word] = None
+                if found[2] not in words:
+                    words[found[2]] = self._ids(found[2]).tobytes()
+            else:
+                known[piece] = self._ids(piece).tobytes()
+        if new:
+            self._learn_words(list(new))
+        for piece, word, signs in split:
+            known[piece] = words[word] + words[signs]
 
     def encode(self, text: str | None) -> bytes:
         if not self.split_spaces:
-            return self._ids(text or "")
-        pieces = (text or "").translate(_SPACES).split(" ") if text else []
-        known = self.known
+            return self._ids(text or "").tobytes()
+        pieces = (text or "").replace("\n", " ").replace("\t", " ").replace("\r", " ").split(" ")
         try:
+            known = self.known
             return b"".join([known[p] for p in pieces])
         except KeyError:
             pass
-        if len(known) > MEMORY_PIECES:
-            self.known = known = {"": b""}
-        new = [p for p in dict.fromkeys(pieces) if p not in known]
-        for p, e in zip(new, self.tokenizer.encode_batch(new, add_special_tokens=False), strict=True):
-            known[p] = np.array(e.ids, "<u4").tobytes()
+        if len(self.known) > MEMORY_PIECES:
+            self.known = {"": b""}
+        if len(self.words) > MEMORY_PIECES:
+            self.words = {"": b""}
+        known = self.known
+        self._learn([p for p in dict.fromkeys(pieces) if p not in known])
         return b"".join([known[p] for p in pieces])
 
     def encode_all(self, texts: Iterable[str | None]) -> list[bytes]:
