@@ -6,6 +6,8 @@ makes a batch that is replayed after a failure a no-op. Maintenance runs every `
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming import StreamingQuery
@@ -40,7 +42,7 @@ def stream_updates(
         if every and number % every == every - 1:
             maintain(index, **limits)
 
-    writer = source.writeStream.foreachBatch(batch).option("checkpointLocation", checkpoint).queryName(None)
+    writer = source.writeStream.foreachBatch(batch).option("checkpointLocation", checkpoint).queryName(f"{name}-{uuid.uuid4().hex[:8]}")
     writer = writer.trigger(availableNow=True) if once else writer.trigger(processingTime="10 seconds")
     return writer.start()
 
