@@ -85,12 +85,11 @@ def test_worked_figure(spark, figure):
 
 
 def test_worked_clustering():
-    """One dimension, centres 0 and 10, batches 1 3 9 and 4 8 5."""
+    """One dimension, centres 0 and 10, batches 1 3 9 (without penalty) and 4 8 5."""
 
     def run(lam, scope):
-        cfg = IndexConfig(lam=lam, scope=scope)
         c, v = np.array([[0.0], [10.0]]), np.zeros(2, np.int64)
-        for batch in ([1, 3, 9], [4, 8, 5]):
+        for batch, cfg in (([1, 3, 9], IndexConfig(lam=0.0)), ([4, 8, 5], IndexConfig(lam=lam, scope=scope))):
             x = np.array(batch, float)[:, None]
             labels = clustering.assign_balanced(x, c, v, cfg)
             c, v = clustering.update_centroids(c, v, *clustering._sums(x, labels, 2))
@@ -135,8 +134,8 @@ def test_training_counts_and_seed(spark, sf):
 def test_penalty_evens_counts(spark, sf):
     for source in (collections.v1, collections.v4):
         v = source(spark, sf)
-        cfg = replace(CFG, target_size=v.count() // 10, batch=128)
-        plain, even = clustering.train(v, replace(cfg, lam=0.0)), clustering.train(v, replace(cfg, lam=2.0))
+        cfg = replace(CFG, target_size=v.count() // 10, iters=30)
+        plain, even = clustering.train(v, replace(cfg, lam=0.0)), clustering.train(v, cfg)
         assert even.counts.std() <= plain.counts.std()
 
 
