@@ -22,7 +22,7 @@ def ivf_selectivity(n_probe: int, target_size: float, n_rows: int, n_delta: int
 
 
 def choose(
-    predicate: Predicate, stats: Statistics, n_probe: int, target_size: float, threshold: float | None = None, n_delta: int = 0, rule: str = "paper"
+    predicate: Predicate, stats: Statistics, n_probe: int, target_size: float, threshold: float | None = None, n_delta: int = 0, rule: str = "min_sum"
 ) -> Plan:
     """pre if the filter narrows more than the index does (strictly), else post."""
     f_filters = selectivity(predicate, stats, rule)

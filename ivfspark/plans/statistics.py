@@ -10,12 +10,16 @@ from __future__ import annotations
 from dataclasses import dataclass, field
 
 from pyspark.sql import DataFrame
-from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from ivfspark.operators.prefix import running_total
 from ivfspark.plans.predicates import And, Leaf, Or, Predicate
 
 
+#: Slices of a column's value range whose values are ranked together.
+RANK_SLICES = 256
+
+
 @dataclass
 class ColumnStats:
     n: int
@@ -39,13 +43,16 @@ class Statistics:
 def histogram(attributes: DataFrame, column: str, bins: int = 32) -> DataFrame:
     """``(bin, lo, hi, cnt)``: equi-depth bins of a numeric column, exact.
 
-    Distinct values with counts are ranked by running totals, so the window sees distinct values only.
+    Distinct values with counts are ranked by running totals over slices of the value range.
     """
-    values = attributes.where(F.col(column).isNotNull()).groupBy(F.col(column).cast("double").alias("v")).agg(F.count("*").alias("c"))
-    total = F.sum("c").over(W.partitionBy(F.lit(1)))
-    before = F.coalesce(F.sum("c").over(W.orderBy("v").rowsBetween(W.unboundedPreceding, -1)), F.lit(0))
-    placed = values.withColumn("bin", F.floor(before * bins / total).cast("int"))
-    return placed.groupBy("bin").agg(F.min("v").alias("lo"), F.max("v").alias("hi"), F.sum("c").alias("cnt"))
+    filled = attributes.where(F.col(column).isNotNull()).select(F.col(column).cast("double").alias("v"))
+    values = filled.groupBy("v").agg(F.count("*").alias("c"))
+    span = filled.agg(F.min("v").alias("lo"), F.max("v").alias("hi"), F.count("*").alias("n")).first()
+    width = (span.hi - span.lo) / RANK_SLICES if span.n and span.hi > span.lo else 1.0
+    piece = F.floor((F.col("v") - F.lit(span.lo or 0.0)) / F.lit(width))
+    placed = running_total(values, piece, [F.col("v")], F.col("c"), "before")
+    numbered = placed.withColumn("bin", F.floor(F.col("before") * bins / F.lit(max(1, span.n))).cast("int"))
+    return numbered.groupBy("bin").agg(F.min("v").alias("lo"), F.max("v").alias("hi"), F.sum("c").alias("cnt"))
 
 
 def histogram_sketch(attributes: DataFrame, column: str, bins: int = 32, accuracy: int = 10000) -> list[float]:
@@ -123,8 +130,8 @@ def leaf_estimate(leaf: Leaf, stats: Statistics) -> float:
     raise ValueError(leaf.op)
 
 
-def estimate(predicate: Predicate, stats: Statistics, rule: str = "paper") -> float:
-    """Rows that qualify. paper: least part of a conjunction, sum of a disjunction, at most all rows;
+def estimate(predicate: Predicate, stats: Statistics, rule: str = "min_sum") -> float:
+    """Rows that qualify. min_sum: least part of a conjunction, sum of a disjunction, at most all rows;
     independence: products of shares."""
     if isinstance(predicate, Leaf):
         return leaf_estimate(predicate, stats)
@@ -138,7 +145,7 @@ def estimate(predicate: Predicate, stats: Statistics, rule: str = "paper") -> fl
     return min(parts) if isinstance(predicate, And) else min(sum(parts), float(stats.n)) if isinstance(predicate, Or) else sum(parts)
 
 
-def selectivity(predicate: Predicate, stats: Statistics, rule: str = "paper") -> float:
+def selectivity(predicate: Predicate, stats: Statistics, rule: str = "min_sum") -> float:
     return min(estimate(predicate, stats, rule), stats.n) / max(1, stats.n)
 
 

@@ -179,6 +179,13 @@ def test_batches_equal_singles(index, queries):
     assert batch == sorted(rows(search.ann_sequential(index, queries, 5, 3)))
 
 
+def test_exact_batches_of_any_size(spark, sf, queries, monkeypatch):
+    v = collections.v1(spark, sf)
+    whole = sorted(rows(search.knn_exact_batch(v, queries, 4)))
+    monkeypatch.setattr(search, "QUERY_BLOCK", 8)
+    assert sorted(rows(search.knn_exact_batch(v, queries, 4))) == whole
+
+
 def test_extremes(spark, index, sf):
     q = collections.v1(spark, sf).first().embedding
     assert search.ann(index, q, 10_000, 10_000).count() == 500
