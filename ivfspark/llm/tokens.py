@@ -17,8 +17,10 @@ from collections.abc import Iterable
 import numpy as np
 
 TOKENIZER = "word_bpe_49k.json"
-#: Pieces and words kept by a worker; when full the memory starts anew.
-MEMORY_PIECES = 400_000
+#: Pieces and words kept by a worker; when full the memory starts anew. Words are what costs the tokenizer
+#: time, so more of them are kept: about 200 bytes each.
+MEMORY_PIECES = 600_000
+MEMORY_WORDS = 1_000_000
 #: Letters, then ASCII signs other than the apostrophe, which the tokenizer may join to letters.
 _LETTERS_SIGNS = re.compile(r"([^\W\d_]+)([!-&(-/:-@\[-`{-~]*)\Z")
 _WORD_END = "</w>"
@@ -94,7 +96,7 @@ class Encoder:
             pass
         if len(self.known) > MEMORY_PIECES:
             self.known = {"": b""}
-        if len(self.words) > MEMORY_PIECES:
+        if len(self.words) > MEMORY_WORDS:
             self.words = {"": b""}
         known = self.known
         self._learn([p for p in dict.fromkeys(pieces) if p not in known])

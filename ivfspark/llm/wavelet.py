@@ -37,13 +37,14 @@ class WaveletMatrix:
         row = ids.astype(np.uint16 if levels <= 16 else np.uint32)
         planes, zeros, ranks = [], [], []
         for level in range(levels):
-            bits = (row >> np.array(levels - 1 - level, row.dtype)) & np.array(1, row.dtype)
-            ones = bits.astype(bool)
-            planes.append(np.packbits(ones, bitorder="little"))
-            zeros.append(len(row) - int(np.count_nonzero(ones)))
-            padded = np.zeros(-(-len(row) // BLOCK) * BLOCK, bool)
-            padded[: len(row)] = ones
-            ranks.append(np.concatenate([[0], np.cumsum(padded.reshape(-1, BLOCK).sum(axis=1))]).astype(np.uint32 if len(row) < 1 << 32 else np.uint64))
+            ones = (row & row.dtype.type(1 << (levels - 1 - level))) != 0
+            packed = np.packbits(ones, bitorder="little")
+            planes.append(packed)
+            words = np.zeros(-(-len(row) // BLOCK) * (BLOCK // 64), np.uint64)
+            words.view(np.uint8)[: len(packed)] = packed
+            each = np.bitwise_count(words).reshape(-1, BLOCK // 64).sum(axis=1, dtype=np.int64)
+            ranks.append(np.concatenate([[0], np.cumsum(each)]).astype(np.uint32 if len(row) < 1 << 32 else np.uint64))
+            zeros.append(len(row) - int(each.sum()))
             row = np.concatenate([row[~ones], row[ones]])
         return cls(planes, zeros, ranks, len(ids), doc_ids, lengths)
 
