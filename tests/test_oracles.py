@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import pytest
 
-from conftest import as_rows
+from comparing import as_rows
 from ivfspark import registry
 
 SQL = registry.oracle_sql()
