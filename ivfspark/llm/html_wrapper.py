@@ -36,6 +36,7 @@ INLINE = frozenset(
 )
 VOID = frozenset("area base col embed hr img input link meta param source track wbr br".split())
 RAW = frozenset("script style noscript template textarea title iframe svg math".split())
+IMPLIED = frozenset(("html", "body"))
 SELF_ENDING = {"p": None, "li": "li", "dt": "dd dt", "dd": "dd dt", "tr": "tr", "td": "td th", "th": "td th", "option": "option"}
 OUTSIDE_TAGS = frozenset("head nav footer aside form button select menu dialog script style noscript template textarea iframe svg math".split())
 OUTSIDE_WORDS = frozenset(
@@ -97,6 +98,10 @@ def slots(page: str) -> Iterator[tuple[str, str]]:
                 text.append(" ")
             continue
         yield from flush()
+        if tag in IMPLIED:  # often left out, so never part of a path; a body ends the head
+            while tag == "body" and "head" in stack:
+                yield "close", stack.pop().split(".", 1)[0]
+            continue
         if found[1]:
             depth = next((i for i in range(len(stack) - 1, -1, -1) if stack[i].split(".", 1)[0] == tag), None)
             if depth is not None:
@@ -296,12 +301,19 @@ def _marked(path: str, *marks: str) -> bool:
 
 
 def content_paths(paths: Iterable[str], mass: dict[str, int]) -> list[str]:
-    """The slots that hold the main text, given the host's characters in each."""
-    allowed = [p for p in paths if not _outside(p)]
+    """The slots that hold the main text: those in an article, else in a main part, else as
+    ``container_paths`` finds them."""
+    paths = list(paths)
     for mark in ("article", "main"):
-        marked = [p for p in allowed if _marked(p, mark)]
+        marked = [p for p in paths if _marked(p, mark) and not _outside(p)]
         if marked:
             return marked
+    return container_paths(paths, mass)
+
+
+def container_paths(paths: Iterable[str], mass: dict[str, int]) -> list[str]:
+    """The slots in the deepest container that holds most of the host's text, articles left out."""
+    allowed = [p for p in paths if not _outside(p) and not _marked(p)]
     containers: Counter[str] = Counter()
     for path in allowed:
         steps = path.split("/")
@@ -378,7 +390,8 @@ def _merged(streams: DataFrame, keys: list[str]) -> DataFrame:
 
 
 def wrappers(pages: DataFrame) -> DataFrame:
-    """``(host, wrapper, content, constants)``: each host's expression, content slots and template texts."""
+    """``(host, wrapper, content, others, constants)``: each host's expression, its content slots, those for pages
+    without any of these, and its template texts."""
     counts = materialize(survey(pages), "survey")
     streams = counts.where("kind = 'S'").withColumn("bucket", F.pmod(F.xxhash64("item"), F.lit(MERGE_BUCKETS)).cast("int"))
     merged = _merged(_merged(streams, ["host", "bucket"]), ["host"])
@@ -390,16 +403,18 @@ def wrappers(pages: DataFrame) -> DataFrame:
 
     def label(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            content, constants = [], []
-            for text, fixed, held in zip(*(batch.column(c).to_pylist() for c in (1, 2, 3)), strict=True):
-                content.append(content_paths(slot_paths(read(text)), {m["item"]: m["n"] for m in held or ()}))
-                constants.append([] if any(_marked(p) for p in content[-1]) else fixed)
-            lists = [pa.array(x, pa.list_(pa.string())) for x in (content, constants)]
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), *lists], ["host", "wrapper", "content", "constants"])
+            content, others = [], []
+            for text, held in zip(*(batch.column(c).to_pylist() for c in (1, 3)), strict=True):
+                mass = {m["item"]: m["n"] for m in held or ()}
+                paths = list(dict.fromkeys([*slot_paths(read(text)), *sorted(mass)]))  # as aligned, and as met
+                content.append(content_paths(paths, mass))
+                others.append(container_paths(paths, mass))
+            lists = [pa.array(x, pa.list_(pa.string())) for x in (content, others)]
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), *lists, batch.column(2)], ["host", "wrapper", "content", "others", "constants"])
 
     joined = merged.select("host", F.col("item").alias("wrapper")).join(constants, "host", "left").join(mass, "host", "left")
     labelled = joined.select("host", "wrapper", "constants", "mass")
-    return labelled.mapInArrow(label, "host string, wrapper string, content array<string>, constants array<string>")
+    return labelled.mapInArrow(label, "host string, wrapper string, content array<string>, others array<string>, constants array<string>")
 
 
 def extract(pages: DataFrame) -> DataFrame:
@@ -411,10 +426,12 @@ def extract(pages: DataFrame) -> DataFrame:
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             texts = []
-            for page, content, constants in zip(*(batch.column(c).to_pylist() for c in ("html", "content", "constants")), strict=True):
-                wanted, fixed = set(content or ()), set(constants or ())
-                texts.append("\n\n".join(t for p, t in blocks(page) if p in wanted and f"{p}\x00{t}" not in fixed))
+            for page, content, others, constants in zip(*(batch.column(c).to_pylist() for c in ("html", "content", "others", "constants")), strict=True):
+                wanted, fixed, found = set(content or ()), set(constants or ()), list(blocks(page))
+                if not any(p in wanted for p, _ in found):
+                    wanted = set(others or ())
+                texts.append("\n\n".join(t for p, t in found if p in wanted and (_marked(p) or f"{p}\x00{t}" not in fixed)))
             yield pa.RecordBatch.from_arrays([batch.column("page_id"), batch.column("url"), pa.array(texts, pa.string())], ["page_id", "url", "text"])
 
-    joined = source.join(found.select("host", "content", "constants"), "host", "left")
-    return joined.select("page_id", "url", "html", "content", "constants").mapInArrow(kernel, "page_id long, url string, text string")
+    joined = source.join(found.select("host", "content", "others", "constants"), "host", "left")
+    return joined.select("page_id", "url", "html", "content", "others", "constants").mapInArrow(kernel, "page_id long, url string, text string")
