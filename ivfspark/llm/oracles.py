@@ -70,3 +70,33 @@ SELECT doc_id, count(*) AS n_lines, count(*) FILTER (c.key IS NOT NULL AND doc_i
 FROM k LEFT JOIN c ON k.key = c.key GROUP BY rid, doc_id
 """
 
+ORACLES["op5_suffix_dedup"] = r"""
+WITH d AS MATERIALIZED (SELECT row_number() OVER () AS rid, doc_id, encode(coalesce(text, '')) AS b FROM documents),
+w AS MATERIALIZED (SELECT rid, i, md5(b[i:i + 399]) AS m FROM (SELECT rid, b, unnest(range(1, octet_length(b) - 398)) AS i FROM d WHERE octet_length(b) >= 400)),
+r AS MATERIALIZED (SELECT rid, i FROM w JOIN (SELECT m FROM w GROUP BY m HAVING count(*) > 1) USING (m)),
+e AS (SELECT rid, i, CASE WHEN i <= 400 + lag(i) OVER (PARTITION BY rid ORDER BY i) THEN 0 ELSE 1 END AS f FROM r),
+sp AS MATERIALIZED (SELECT rid, min(i) AS a, max(i) + 399 AS z FROM (SELECT rid, i, sum(f) OVER (PARTITION BY rid ORDER BY i) AS q FROM e) GROUP BY rid, q),
+st AS (SELECT rid, sum(z - a + 1)::BIGINT AS n_removed, count(*) AS n_spans, max(z) AS last FROM sp GROUP BY rid),
+kp AS (SELECT rid, a AS o, hex(b[coalesce(lag(z) OVER (PARTITION BY rid ORDER BY a), 0) + 1:a - 1]) AS s FROM sp JOIN d USING (rid)
+  UNION ALL SELECT rid, last + 1, hex(b[last + 1:]) FROM st JOIN d USING (rid)),
+kh AS (SELECT rid, string_agg(s, '' ORDER BY o) AS s FROM kp GROUP BY rid)
+SELECT doc_id, octet_length(b)::BIGINT AS n_bytes, coalesce(n_removed, 0) AS n_removed, coalesce(n_spans, 0) AS n_spans,
+  CASE WHEN n_spans IS NULL THEN sha256(b) ELSE sha256(unhex(s)) END AS kept_sha256
+FROM d LEFT JOIN st USING (rid) LEFT JOIN kh USING (rid)
+"""
+
+ORACLES["op10_decontamination"] = r"""
+WITH d AS (SELECT row_number() OVER () AS rid, doc_id,
+    regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+') AS w FROM documents),
+b AS (SELECT coalesce(item_id::VARCHAR, '') AS item,
+    regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+') AS w FROM benchmark),
+k AS (SELECT item, w, least(len(w), 10) AS n, unnest(range(1, len(w) - least(len(w), 10) + 2)) AS i FROM b WHERE len(w) > 0),
+v AS MATERIALIZED (SELECT DISTINCT item, n, array_to_string(w[i:i + n - 1], ' ') AS key FROM k),
+s AS (SELECT rid, w, n, unnest(range(1, len(w) - n + 2)) AS i FROM d, (SELECT DISTINCT n FROM v) WHERE len(w) >= n),
+g AS MATERIALIZED (SELECT rid, n, i, array_to_string(w[i:i + n - 1], ' ') AS key FROM s),
+h AS MATERIALIZED (SELECT rid, g.n, i, item FROM g JOIN v ON g.n = v.n AND g.key = v.key),
+c AS (SELECT rid, count(DISTINCT p) AS n_hit FROM (SELECT rid, unnest(range(i, i + n)) AS p FROM h) GROUP BY rid),
+t AS (SELECT rid, count(*) AS n_items, string_agg(item, ',' ORDER BY item) AS items FROM (SELECT DISTINCT rid, item FROM h) GROUP BY rid)
+SELECT doc_id, len(w) AS n_words, coalesce(n_hit, 0) AS n_hit, coalesce(n_items, 0) AS n_items, sha256(coalesce(items, '')) AS items_sha256, n_hit IS NOT NULL AS contaminated
+FROM d LEFT JOIN c USING (rid) LEFT JOIN t USING (rid)
+"""

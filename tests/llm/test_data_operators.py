@@ -222,7 +222,7 @@ def test_format_json(shipped):
 # queries and pipeline
 
 
-@pytest.mark.parametrize("key", ["op6_chat_format", "op8_host_quality", "op9_line_dedup"])
+@pytest.mark.parametrize("key", ["op5_suffix_dedup", "op6_chat_format", "op8_host_quality", "op9_line_dedup", "op10_decontamination"])
 def test_query_equals_sql(key, spark, small, duck):
     import __spark_entry__
     from comparing import as_rows
