@@ -45,8 +45,9 @@ def query_batch(spark: SparkSession, sf_dir: str, below: int = QUERIES) -> DataF
 
 def attributes(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Attributes of vectors: their documents' columns and tokens, and labels where there are any."""
-    docs = table(spark, sf_dir, "documents").select(F.col("doc_id").alias("asset_id"), "lang", "source", "n_chars", F.array_distinct(collections.tokens(F.col("text"))).alias("tokens"))
+    docs = table(spark, sf_dir, "documents").select(F.col("doc_id").alias("asset_id"), "lang", "source", "n_chars", "text")
     own = docs.join(collections.v1(spark, sf_dir).select(F.col("vec_id").alias("asset_id")), "asset_id", "left_semi")
+    own = own.select("asset_id", "lang", "source", "n_chars", F.array_distinct(collections.tokens(F.col("text"))).alias("tokens"))
     labels = table(spark, sf_dir, "labels").select(F.col("doc_id").alias("asset_id"), "quality", "toxic")
     return own.join(labels, "asset_id", "left")
 

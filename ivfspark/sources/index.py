@@ -21,6 +21,8 @@ from ivfspark.sources.snapshots import Store
 
 #: Rows of a file of the main table, about a few hundred MB at 64 dimensions.
 FILE_ROWS = 1_000_000
+#: Row groups are what a list of partitions prunes, so they are kept small.
+ROW_GROUP_BYTES = 1 << 20
 
 
 @dataclass
@@ -123,7 +125,7 @@ def write_vectors(store: Store, rows: DataFrame, n_rows: int, kind: str) -> str:
     keys = ["part_id", "asset_id", "vec_id"]
     placed = rows.select("part_id", "asset_id", "vec_id", "embedding", "seq")
     placed = placed.repartitionByRange(files, *keys) if files > 1 else placed.coalesce(1) if kind == "delta" else placed.repartition(1)
-    placed.sortWithinPartitions(*keys).write.parquet(f"{store.path}/{name}")
+    placed.sortWithinPartitions(*keys).write.option("parquet.block.size", ROW_GROUP_BYTES).parquet(f"{store.path}/{name}")
     return name
 
 
