@@ -292,7 +292,12 @@ _FR_ES = "lang = 'fr' OR lang = 'es'"
 SQL |= {"hybrid_prefilter": pre_sql(_FR_ES), "hybrid_postfilter": post_sql(_FR_ES), "hybrid_postfilter_naive": _ranked_sql(_FR_ES, True)}
 SQL["hybrid_postfilter_wide"] = pre_sql("n_chars < 50")
 SQL["hybrid_match"] = pre_sql("list_contains(tokens, 'the') AND list_contains(tokens, 'of')")
-SQL["hybrid_auto"] = f"SELECT 'src3' AS pred, 'pre' AS plan, * FROM ({pre_sql(SRC3.to_sql())}) UNION ALL SELECT 'en', 'post', * FROM ({post_sql(EN.to_sql())})"
+_CHOSEN = "(SELECT CASE WHEN count(*) FILTER ({where}) < {n} * 50 THEN 'pre' ELSE 'post' END FROM documents JOIN embeddings ON vec_id = doc_id)"
+SQL["hybrid_auto"] = " UNION ALL ".join(
+    f"SELECT '{name}' AS pred, '{kind}' AS plan, * FROM ({make(p.to_sql())}) WHERE {_CHOSEN.format(where=p.to_sql(), n=PROBES)} = '{kind}'"
+    for name, p in (("src3", SRC3), ("en", EN))
+    for kind, make in (("pre", pre_sql), ("post", post_sql))
+)
 
 
 @query
