@@ -1,7 +1,9 @@
 """Corpus pipeline: quality rules, near-duplicates, decontamination, mixing, token output.
 
 Each stage takes ``(spark, docs, sf_dir)``; its result is written as parquet and read again as the next
-stage's ``docs``. All stages but the last return the columns of documents.
+stage's ``docs``. All stages but the last return the columns of documents. Decisions are made and applied
+row by row: a stage numbers its rows once and passes the numbers through the operator, so rows without id,
+and different texts under one id, are each judged by themselves.
 """
 
 from __future__ import annotations
@@ -21,36 +23,47 @@ from ivfspark.plans.scratch import materialize
 Stage = Callable[[SparkSession, DataFrame, str], DataFrame]
 
 
-def _keep(docs: DataFrame, ids: DataFrame) -> DataFrame:
-    """Rows of ``docs`` whose id is in ``ids``; a null id matches a null id."""
-    marked = ids.select(F.col("doc_id").alias("_kept")).distinct()
-    return docs.join(marked, docs.doc_id.eqNullSafe(F.col("_kept")), "left_semi")
+#: A row's number within a stage; written with the rows, so that every reading has the same numbers.
+ROW = "_row"
+
+
+def _numbered(docs: DataFrame) -> DataFrame:
+    return materialize(docs.withColumn(ROW, F.monotonically_increasing_id()), "rows")
+
+
+def _keep(rows: DataFrame, numbers: DataFrame) -> DataFrame:
+    """The numbered rows whose number is among the ``doc_id`` of ``numbers``, without it."""
+    return rows.join(numbers.select(F.col("doc_id").alias(ROW)), ROW, "left_semi").drop(ROW)
 
 
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the host-level rules keep."""
-    return _keep(docs, judge(docs).where("kept"))
+    rows = _numbered(docs)
+    return _keep(rows, judge(rows, id_col=ROW).where("kept"))
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The document of least id of every near-duplicate group; repeated ids stay once."""
-    found = near_duplicates(docs)
-    chosen = found.where(F.col("doc_id").eqNullSafe(F.col("component_id")))
-    return _keep(docs, chosen).dropDuplicates(["doc_id"])
+    """One row of every near-duplicate group: that of least id, null ids last, ties by text."""
+    rows = _numbered(docs)
+    found = near_duplicates(rows, id_col=ROW).select(F.col("doc_id").alias(ROW), "component_id")
+    order = F.struct(F.col("doc_id").isNull(), "doc_id", F.xxhash64("text"), ROW)
+    ranked = found.join(rows.select(ROW, order.alias("place")), ROW)
+    return _keep(rows, ranked.groupBy("component_id").agg(F.min("place").alias("place")).select(F.col(f"place.{ROW}").alias("doc_id")))
 
 
 def decontaminate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents without any benchmark window."""
     benchmark = spark.read.parquet(f"{sf_dir}/benchmark.parquet")
-    return _keep(docs, contamination(docs, benchmark).where("n_hit = 0"))
+    rows = _numbered(docs)
+    return _keep(rows, contamination(rows.select(F.col(ROW).alias("doc_id"), "text"), benchmark).where("n_hit = 0"))
 
 
 def mixture(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Each document as often as the mix reads it, to whole readings; at a source's last block only
     one document is read in part, and counts if at least half of it is."""
-    readings = mix(docs).where("size > 0").select("doc_id", F.round(F.col("taken") / F.col("size")).cast("int").alias("_readings"))
-    counted = readings.where("_readings > 0").groupBy(F.col("doc_id").alias("_id")).agg(F.max("_readings").alias("_readings"))
-    joined = docs.join(counted, docs.doc_id.eqNullSafe(F.col("_id")))
+    rows = _numbered(docs)
+    readings = mix(rows, row_col=ROW).where("size > 0").select(ROW, F.round(F.col("taken") / F.col("size")).cast("int").alias("_readings"))
+    joined = rows.join(readings.where("_readings > 0"), ROW)
     return joined.withColumn("_k", F.explode(F.sequence(F.lit(1), F.col("_readings")))).select(*docs.columns)
 
 

@@ -71,11 +71,13 @@ def schedule(spark, bounds: list[int], n_slots: int, parts: int):
     return running_total(slots, chunk, [F.col("slot")], F.lit(1).cast("long"), "rank", ["src"])
 
 
-def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source") -> DataFrame:
-    """Per document ``doc_id, source, size, source_size, target, taken``."""
+def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", row_col: str | None = None) -> DataFrame:
+    """Per document ``doc_id, source, size, source_size, target, taken``, and ``row_col`` if given, a column
+    that tells rows of equal ids apart."""
     spark = docs.sparkSession
+    own = [row_col] if row_col else []
     sized = materialize(
-        docs.select(F.col(id_col).alias("doc_id"), F.col(source_col).alias("source"), word_count(text_col).alias("size")), "sizes"
+        docs.select(F.col(id_col).alias("doc_id"), F.col(source_col).alias("source"), word_count(text_col).alias("size"), *own), "sizes"
     )
     per_source = sized.groupBy("source").agg(F.sum("size").alias("words"), F.count("*").alias("n"))
     rows = sorted(per_source.collect(), key=lambda r: (r.source is None, (r.source or "").encode()))
@@ -85,7 +87,7 @@ def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_
     info = spark.createDataFrame([(i, r.source, r.words, aim[i]) for i, r in enumerate(rows)], info_schema)
     named = sized.join(F.broadcast(info), F.col("source").eqNullSafe(F.col("src_name"))).drop("src_name")
     if total == 0:
-        return named.select("doc_id", "source", "size", "source_size", "target", F.lit(0).cast("long").alias("taken"))
+        return named.select("doc_id", "source", "size", "source_size", "target", F.lit(0).cast("long").alias("taken"), *own)
     block = block_words(total)
     n_slots = round(sum(aim) / block)
     bounds, run = [], 0.0
@@ -113,7 +115,7 @@ def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_
     # documents in shuffled order, at their places in the source's words
     shuffle_key = F.xxhash64(F.lit(SEED), "doc_id", "size")
     n_buckets = max(8, sum(r.n for r in rows) >> 12)
-    order = [F.col("_key"), F.col("doc_id"), F.col("size")]
+    order = [F.col("_key"), F.col("doc_id"), F.col("size"), *map(F.col, own)]
     keyed = named.where("size > 0").withColumn("_key", F.shiftrightunsigned(shuffle_key, 1))
     bucket = F.floor(F.col("_key").cast("double") / 2.0**63 * n_buckets).cast("long")
     placed = materialize(running_total(keyed, bucket, order, F.col("size"), "at", ["src"]), "placed")
@@ -134,7 +136,7 @@ def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_
         .agg(F.sum(overlap * F.col("readings")).alias("taken"))
     )
     full = placed.join(took.select("src", "at", "taken"), ["src", "at"], "left")
-    columns = ["doc_id", "source", "size", "source_size", "target", F.coalesce("taken", F.lit(0)).cast("long").alias("taken")]
-    return full.select(*columns).unionByName(
-        named.where("size = 0").select(*columns[:-1], F.lit(0).cast("long").alias("taken"))
+    columns = ["doc_id", "source", "size", "source_size", "target", *own]
+    return full.select(*columns, F.coalesce("taken", F.lit(0)).cast("long").alias("taken")).unionByName(
+        named.where("size = 0").select(*columns, F.lit(0).cast("long").alias("taken"))
     )

@@ -189,12 +189,11 @@ def links(distinct: DataFrame, radius: int = RADIUS, spare: int = SPARE_RANGES)
 def near_duplicates(docs: DataFrame, radius: int = RADIUS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``(doc_id, fingerprint, component_id)``: component_id is the least id reachable over links."""
     prints = materialize(fingerprints(docs, id_col, text_col), "fingerprints")
-    distinct = materialize(prints.groupBy("fp").agg(F.min("doc_id").alias("rep")), "distinct")
-    found = connected_components(links(distinct.where("rep IS NOT NULL"), radius))
-    named = materialize(
-        distinct.join(found.withColumnRenamed("node", "rep"), "rep", "left").select(
-            "fp", F.coalesce("component", "rep").alias("component_id")
-        ),
-        "components",
-    )
+    distinct = materialize(prints.groupBy("fp").agg(F.min("doc_id").alias("least")), "distinct")
+    # fingerprints stand for themselves, so those of rows without id are searched and link like any other
+    found = connected_components(links(distinct.select("fp", F.col("fp").alias("rep")), radius))
+    grouped = distinct.join(found.withColumnRenamed("node", "fp"), "fp", "left").withColumn("component", F.coalesce("component", "fp"))
+    grouped = materialize(grouped, "grouped")
+    names = grouped.groupBy("component").agg(F.min("least").alias("component_id"))
+    named = materialize(grouped.join(names, "component").select("fp", "component_id"), "components")
     return prints.join(named, "fp").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")

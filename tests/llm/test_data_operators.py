@@ -260,3 +260,21 @@ def test_pipeline(spark, small, awkward):
     for _, stage in pipeline.STAGES:
         assert stage(spark, awkward, small).count() >= 0
         assert stage(spark, awkward.limit(0), small).count() == 0
+
+
+def test_pipeline_judges_rows_without_id_one_by_one(spark, small, shipped):
+    """Rows without id, and different texts under one id, are kept or dropped each by itself."""
+    import corpus_pipeline as pipeline
+
+    text = lambda name, n=80: " ".join(f"{name}_word{i}" for i in range(n))
+    rows = [(None, text("a")), (None, text("b")), (None, text("b")), (None, "too short"), (5, text("c")), (5, text("d")), (6, text("e")), (None, text("e"))]
+    df = shipped.createDataFrame([(i, t, "s") for i, t in rows], "doc_id long, text string, source string")
+    found = lambda stage, table=df: Counter((r.doc_id, (r.text or "")[:2]) for r in stage(spark, table, small).collect())
+    assert found(pipeline.quality) == Counter((i, t[:2]) for i, t in rows if t != "too short")
+    assert found(pipeline.near_dedup) == Counter([(None, "a_"), (None, "b_"), (None, "to"), (5, "c_"), (5, "d_"), (6, "e_")])
+    bench = spark.read.parquet(f"{small}/benchmark.parquet").where("length(text) > 100").first().text
+    leaked = df.unionByName(shipped.createDataFrame([(None, "zz " + bench, "s")], df.schema))
+    assert found(pipeline.decontaminate, leaked) == Counter((i, t[:2]) for i, t in rows)
+    uneven = shipped.createDataFrame([(None, text("x", 40 + i), "s" if i else "t") for i in range(4)], df.schema)
+    read = {r["_row"]: r for r in mixing.mix(pipeline._numbered(uneven), row_col="_row").collect()}
+    assert len(read) == 4 and pipeline.mixture(spark, uneven, small).count() == sum(round(r.taken / r["size"]) for r in read.values())

@@ -285,3 +285,11 @@ def test_registered_queries_cover_the_table(query, spark, small):
     import __spark_entry__
 
     assert __spark_entry__.queries()[query](spark, small).count() == spark.read.parquet(f"{small}/documents.parquet").count()
+
+
+def test_simhash_links_through_rows_without_id(shipped, monkeypatch):
+    """A fingerprint that only rows without id hold takes its group's component, and joins its neighbours."""
+    prints = shipped.createDataFrame([(3, 0), (None, 0b1111), (9, 0b11111111), (None, -1), (4, 1 << 62)], "doc_id long, fp long")
+    monkeypatch.setattr(simhash, "fingerprints", lambda *_: prints)
+    got = {(r.doc_id, int(r.fingerprint, 16)): r.component_id for r in simhash.near_duplicates(prints).collect()}
+    assert got == {(3, 0): 3, (None, 15): 3, (9, 255): 3, (None, 2**64 - 1): None, (4, 1 << 62): 3}
