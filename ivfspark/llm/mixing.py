@@ -27,7 +27,7 @@ GOLDEN = 1640531527
 POINTS = 1 << 32
 WEIGHTS = (1, 2, 3)
 MAX_REPEAT = 3
-#: Slots of at least this number, so that a source's rounding stays far below its target.
+#: Slots of at least this number, so that prefixes of the schedule are fine-grained.
 LEAST_SLOTS = 1 << 16
 MOST_BLOCK = 4096
 SEED = "mix"
@@ -83,9 +83,9 @@ def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_
     rows = sorted(per_source.collect(), key=lambda r: (r.source is None, (r.source or "").encode()))
     aim = targets([r.words for r in rows])
     total = sum(r.words for r in rows)
-    info_schema = "src int, src_name string, source_size long, target double"
-    info = spark.createDataFrame([(i, r.source, r.words, aim[i]) for i, r in enumerate(rows)], info_schema)
-    named = sized.join(F.broadcast(info), F.col("source").eqNullSafe(F.col("src_name"))).drop("src_name")
+    info_schema = "src int, src_name string, source_size long, target double, aim long"
+    info = spark.createDataFrame([(i, r.source, r.words, aim[i], min(round(aim[i]), MAX_REPEAT * r.words)) for i, r in enumerate(rows)], info_schema)
+    named = sized.join(F.broadcast(info), F.col("source").eqNullSafe(F.col("src_name"))).drop("src_name", "aim")
     if total == 0:
         return named.select("doc_id", "source", "size", "source_size", "target", F.lit(0).cast("long").alias("taken"), *own)
     block = block_words(total)
@@ -96,10 +96,15 @@ def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_
         bounds.append(round(POINTS * run / sum(aim)))
     # every source's blocks that the schedule asks for: one row a source and block, with its readings
     slots = schedule(spark, bounds, n_slots, max(8, n_slots >> 18))
+    needed = F.ceil(F.col("aim") / block)
+    given = F.broadcast(slots.groupBy("src").agg(F.count("*").alias("given")))
+    short = info.join(given, "src", "left").withColumn("given", F.coalesce("given", F.lit(0))).where(F.col("given") < needed)
+    late = short.select("src", F.explode(F.sequence(F.col("given"), needed - 1)).alias("rank"))  # a few a source
     blocks = F.col("rank") * block  # first word, counted over all readings
-    asked = slots.join(F.broadcast(info.select("src", "source_size")), "src").where(blocks < F.col("source_size") * MAX_REPEAT)
-    # a block that crosses the end of a reading goes on at the beginning; its last word stays within the cap
-    last = F.least(blocks + block, F.col("source_size") * MAX_REPEAT)
+    ranks = slots.select("src", "rank").unionByName(late)
+    asked = ranks.join(F.broadcast(info.select("src", "source_size", "aim")), "src").where(blocks < F.col("aim"))
+    # a block that crosses the end of a reading goes on at the beginning; its last word stays within the target
+    last = F.least(blocks + block, F.col("aim"))
     pieces = asked.select(
         "src",
         F.explode(

@@ -162,6 +162,21 @@ def test_mix(shipped, awkward, empty):
     assert mixing.mix(awkward).count() == awkward.count() and mixing.mix(empty).count() == 0
 
 
+@pytest.mark.parametrize("slots", [1 << 16, 50])
+def test_mix_takes_targets_of_small_sources(shipped, monkeypatch, slots):
+    """Each source takes its target to the word, also where a slot holds more words than the source."""
+    monkeypatch.setattr(mixing, "LEAST_SLOTS", slots)
+    sizes = {f"s{i}": n for i, n in enumerate([60_000, 3, 40, 9, 25_000, 1, 300, 17])}
+    rows = [(i, "w " * (n // 2 + (n % 2 and k)), s) for i, (s, n) in enumerate(sizes.items()) for k in (0, 1)]
+    rows = [(2 * i + k, t, s) for k in (0, 1) for i, (_, t, s) in enumerate(rows[k::2])]
+    taken, target = Counter(), {}
+    for r in mixing.mix(shipped.createDataFrame(rows, "doc_id long, text string, source string")).collect():
+        taken[r.source] += r.taken
+        target[r.source] = r.target
+        assert r.taken <= 3 * r["size"]
+    assert taken == Counter({s: round(t) for s, t in target.items()}) and min(taken.values()) > 0
+
+
 def test_schedule_is_even(shipped):
     """Any prefix of the schedule is close to the weights."""
     bounds = [int(mixing.POINTS * x) for x in (0.1, 0.4, 1.0)]
