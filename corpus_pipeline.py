@@ -15,8 +15,8 @@ from pyspark.sql import functions as F
 
 from ivfspark.llm.decontaminate import contamination
 from ivfspark.llm.mixing import mix
+from ivfspark.llm.near_copies import near_copies
 from ivfspark.llm.quality_rules import judge
-from ivfspark.llm.simhash import near_duplicates
 from ivfspark.llm.token_output import token_output
 from ivfspark.plans.scratch import materialize
 
@@ -43,9 +43,10 @@ def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One row of every near-duplicate group: that of least id, null ids last, ties by text."""
+    """One row of every group of texts alike in at least 0.8 of their five-word shingles: that of least id,
+    null ids last, ties by text."""
     rows = _numbered(docs)
-    found = near_duplicates(rows, id_col=ROW).select(F.col("doc_id").alias(ROW), "component_id")
+    found = near_copies(rows, id_col=ROW).select(F.col("doc_id").alias(ROW), "component_id")
     order = F.struct(F.col("doc_id").isNull(), "doc_id", F.xxhash64("text"), ROW)
     ranked = found.join(rows.select(ROW, order.alias("place")), ROW)
     return _keep(rows, ranked.groupBy("component_id").agg(F.min("place").alias("place")).select(F.col(f"place.{ROW}").alias("doc_id")))
@@ -74,7 +75,7 @@ def tokens(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 STAGES: list[tuple[str, Stage]] = [
     ("quality_rules", quality),
-    ("simhash_near_dedup", near_dedup),
+    ("near_dedup", near_dedup),
     ("benchmark_decontamination", decontaminate),
     ("source_mixing", mixture),
     ("token_output", tokens),

@@ -10,7 +10,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from ivfspark.llm import decontaminate, line_bloom, quality_rules, simhash, suffix_dedup
+from ivfspark.llm import decontaminate, line_bloom, near_copies, quality_rules, simhash, suffix_dedup
 
 SPACE_WORDS = re.compile(r"[^\x20\x09-\x0D]+")
 
@@ -293,3 +293,35 @@ def test_simhash_links_through_rows_without_id(shipped, monkeypatch):
     monkeypatch.setattr(simhash, "fingerprints", lambda *_: prints)
     got = {(r.doc_id, int(r.fingerprint, 16)): r.component_id for r in simhash.near_duplicates(prints).collect()}
     assert got == {(3, 0): 3, (None, 15): 3, (9, 255): 3, (None, 2**64 - 1): None, (4, 1 << 62): 3}
+
+
+def test_near_copies_equal_all_pairs(shipped, awkward, empty):
+    """Groups of texts at Jaccard 0.8 of five-word shingles, where most pairs are beyond four bits of SimHash."""
+    rng = np.random.default_rng(3)
+    texts = []
+    for base in range(12):
+        words = [f"w{base}x{rng.integers(0, 5000)}" for _ in range(150)]
+        texts.append(" ".join(words))
+        for edits in (1, 2, 3, 4, 6, 8):
+            changed = list(words)
+            for at in rng.integers(0, 150, edits):
+                changed[at] = f"new{rng.integers(0, 10**6)}"
+            texts.append(" ".join(changed))
+    texts += [texts[0], texts[1].upper(), "", None, "a b", "A  b"]
+    sets = []
+    for t in texts:
+        w = SPACE_WORDS.findall(lower(t))
+        sets.append({tuple(w[i : i + 5]) for i in range(max(1, len(w) - 4))} if w else set())
+    group = list(range(len(texts)))
+    far = 0
+    for i in range(len(texts)):
+        for j in range(i):
+            both, either = len(sets[i] & sets[j]), len(sets[i] | sets[j])
+            if 5 * both >= 4 * either:
+                far += (simhash.fingerprint((texts[i] or "").encode()) ^ simhash.fingerprint((texts[j] or "").encode())).bit_count() > 4
+                old, new = max(group[i], group[j]), min(group[i], group[j])
+                group = [new if g == old else g for g in group]
+    got = {r.doc_id: r.component_id for r in near_copies.near_copies(shipped.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()}
+    assert [got[i] for i in range(len(texts))] == group and far > 5
+    assert near_copies.near_copies(awkward.where("doc_id IS NOT NULL").dropDuplicates(["doc_id"])).count() == 10
+    assert near_copies.near_copies(empty).count() == 0
