@@ -10,7 +10,9 @@ in buckets and the buckets' wrappers then with each other, so a host of any size
 A slot of the wrapper is content if its path leads through the article (else through the container with most
 of the host's text) and through no menu, header, footer, sidebar, notice, advert, form, script, style or
 comment part. Without an article, a text that stands in the same slot on nearly every page of a host is part
-of its template, not of the content. Pages are then read slot by slot under their host's wrapper.
+of its template, not of the content. Pages of equal blocks count as one page, and a page counts a text once. Pages
+are then read block by block: the paths that the wrapper and the pages have are labelled, and a block is taken by
+its path. Every path of a block is met in the pages, so the wrapper itself does not decide any text.
 
 Null or empty html gives an empty text. A null or odd url is a host of its own (""). Repeated rows
 are read alike. An empty table gives an empty result. Other columns are ignored.
@@ -22,6 +24,7 @@ import html as entities
 import re
 from collections import Counter
 from collections.abc import Iterable, Iterator
+from hashlib import blake2b
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -344,24 +347,30 @@ def blocks(page: str | None) -> Iterator[tuple[str, str]]:
 
 
 def survey(pages: DataFrame) -> DataFrame:
-    """``(host, kind, item, n)``: streams (S), characters by slot (M), short texts by slot (C), pages (P)."""
+    """``(host, kind, item, n)``: streams (S), characters by slot (M), and by different pages: short texts by slot
+    where a template's may be dropped (C), pages (P)."""
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            met: Counter[tuple[str, str, str]] = Counter()
+            met: Counter[tuple[str, str, str, int]] = Counter()
             for url, page in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
                 host = host_of(url)
-                met[host, "P", ""] += 1
-                met[host, "S", write(stream(page))] += 1
-                for path, text in blocks(page):
-                    met[host, "M", path] += len(text)
-                    if len(text) <= CONSTANT_CHARS:
-                        met[host, "C", f"{path}\x00{text}"] += 1
-            columns = list(zip(*met, strict=True)) or [[], [], []]
-            yield pa.RecordBatch.from_arrays([*(pa.array(list(c), pa.string()) for c in columns), pa.array(list(met.values()), pa.int64())], ["host", "kind", "item", "n"])
-
-    counted = pages.select("url", "html").mapInArrow(kernel, "host string, kind string, item string, n long")
-    return counted.groupBy("host", "kind", "item").agg(F.sum("n").alias("n"))
+                found = list(blocks(page))
+                same = int.from_bytes(blake2b(repr(found).encode("utf-8", "surrogatepass"), digest_size=8).digest(), "big", signed=True)
+                met[host, "P", "", same] += 1
+                met[host, "S", write(stream(page)), 0] += 1
+                for path, text in found:
+                    met[host, "M", path, 0] += len(text)
+                    if len(text) <= CONSTANT_CHARS and not _marked(path) and not _outside(path):
+                        met[host, "C", f"{path}\x00{text}", same] += 1
+            columns = list(zip(*met, strict=True)) or [[], [], [], []]
+            texts = [pa.array(list(c), pa.string()) for c in columns[:3]]
+            yield pa.RecordBatch.from_arrays([*texts, pa.array(list(columns[3]), pa.int64()), pa.array(list(met.values()), pa.int64())], ["host", "kind", "item", "page", "n"])
+
+    counted = pages.select("url", "html").mapInArrow(kernel, "host string, kind string, item string, page long, n long")
+    once = counted.groupBy("host", "kind", "item", "page").agg(F.sum("n").alias("n"))
+    n = F.when(F.col("kind").isin("C", "P"), 1).otherwise(F.col("n"))
+    return once.groupBy("host", "kind", "item").agg(F.sum(n).alias("n"))
 
 
 def _merged(streams: DataFrame, keys: list[str]) -> DataFrame:

@@ -63,6 +63,17 @@ def test_template_texts_are_dropped_outside_articles(shipped):
     assert got == {i: f"Own text number {i} with many words" for i in range(8)}
 
 
+def test_repeats_and_copied_pages_are_not_template(shipped):
+    """A line that one page repeats, and the texts of a page that was copied, are content."""
+    one = "<html><body><div><p>Refrain</p><p>verse one</p>" + "<p>Refrain</p>" * 5 + "</div></body></html>"
+    copy = "<html><body><div><p>A short text</p><p>and another</p></div></body></html>"
+    rows = [(1, "http://d.example/1", one), *((i, f"http://e.example/{i}", copy) for i in range(2, 12))]
+    rows += [(20, "http://e.example/20", "<html><body><div><p>unlike the others</p></div></body></html>")]
+    got = {r.page_id: r.text for r in html_wrapper.extract(shipped.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+    assert got[1] == "\n\n".join(["Refrain", "verse one", *["Refrain"] * 5])
+    assert all(got[i] == "A short text\n\nand another" for i in range(2, 12)) and got[20] == "unlike the others"
+
+
 def test_extraction_empty(shipped):
     assert html_wrapper.extract(shipped.createDataFrame([], "page_id long, url string, html string, text string")).count() == 0
 
