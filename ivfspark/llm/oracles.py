@@ -79,10 +79,14 @@ sp AS MATERIALIZED (SELECT rid, min(i) AS a, max(i) + 399 AS z FROM (SELECT rid,
 st AS (SELECT rid, sum(z - a + 1)::BIGINT AS n_removed, count(*) AS n_spans, max(z) AS last FROM sp GROUP BY rid),
 kp AS (SELECT rid, a AS o, hex(b[coalesce(lag(z) OVER (PARTITION BY rid ORDER BY a), 0) + 1:a - 1]) AS s FROM sp JOIN d USING (rid)
   UNION ALL SELECT rid, last + 1, hex(b[last + 1:]) FROM st JOIN d USING (rid)),
-kh AS (SELECT rid, string_agg(s, '' ORDER BY o) AS s FROM kp GROUP BY rid)
+kh AS (SELECT rid, string_agg(s, '' ORDER BY o) AS s FROM kp GROUP BY rid),
+ww AS MATERIALIZED (SELECT row_number() OVER () AS rid, regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') AS w FROM documents),
+wr AS MATERIALIZED (SELECT rid, i, md5(array_to_string(w[i:i + 50], ' ')) AS m FROM (SELECT rid, w, unnest(range(1, len(w) - 49)) AS i FROM ww WHERE len(w) >= 51)),
+ws AS MATERIALIZED (SELECT rid, i FROM wr JOIN (SELECT m FROM wr GROUP BY m HAVING min(rid) < max(rid)) USING (m)),
+wc AS (SELECT rid, sum(least(51, coalesce(nx - i, 51)))::BIGINT AS n_shared_words FROM (SELECT rid, i, lead(i) OVER (PARTITION BY rid ORDER BY i) AS nx FROM ws) GROUP BY rid)
 SELECT doc_id, octet_length(b)::BIGINT AS n_bytes, coalesce(n_removed, 0) AS n_removed, coalesce(n_spans, 0) AS n_spans,
-  CASE WHEN n_spans IS NULL THEN sha256(b) ELSE sha256(unhex(s)) END AS kept_sha256
-FROM d LEFT JOIN st USING (rid) LEFT JOIN kh USING (rid)
+  CASE WHEN n_spans IS NULL THEN sha256(b) ELSE sha256(unhex(s)) END AS kept_sha256, coalesce(n_shared_words, 0) AS n_shared_words
+FROM d LEFT JOIN st USING (rid) LEFT JOIN kh USING (rid) LEFT JOIN wc USING (rid)
 """
 
 ORACLES["op10_decontamination"] = r"""

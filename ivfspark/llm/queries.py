@@ -48,7 +48,7 @@ def op5_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     from ivfspark.llm.suffix_dedup import dedup_substrings
 
     found = dedup_substrings(table(spark, sf_dir, "documents"))
-    return found.select("doc_id", "n_bytes", "n_removed", "n_spans", F.sha2("kept", 256).alias("kept_sha256"))
+    return found.select("doc_id", "n_bytes", "n_removed", "n_spans", F.sha2("kept", 256).alias("kept_sha256"), "n_shared_words")
 
 
 def op6_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:

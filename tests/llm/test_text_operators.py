@@ -210,6 +210,45 @@ def test_substrings_many_passages_in_blocks(shipped, monkeypatch):
     assert _spans(df, span=100, gram=64) == multiset(brute_spans(rows, 100))
 
 
+def test_substrings_of_an_anchor_with_many_passages(shipped):
+    """Thousands of contexts of one passage at the default block size; some contexts repeat in part."""
+    rng = np.random.default_rng(21)
+    text = lambda n: "".join(rng.choice(list("abcdefghijklmnop"), n))
+    passage, ends = text(90), [text(12) for _ in range(40)]
+    rows = [(i, text(20) + ends[i % 40] + passage[i % 3 :] + ends[i % 37] + text(20)) for i in range(6000)]
+    rows += [(9000 + i, ends[i % 40] + passage + ends[i % 37]) for i in range(0, 6000, 500)]
+    df = shipped.createDataFrame(rows, "doc_id long, text string")
+    assert _spans(df, span=100, gram=64, word_span=None) == multiset(brute_spans(rows, 100))
+
+
+def brute_shared_words(rows, span):
+    holders: dict[tuple, set] = {}
+    words = [(i, (text or "").encode().split()) for i, (_, text) in enumerate(rows)]
+    for i, w in words:
+        for p in range(len(w) - span + 1):
+            holders.setdefault(tuple(w[p : p + span]), set()).add(i)
+    out = []
+    for i, w in words:
+        marked = {q for p in range(len(w) - span + 1) if len(holders[tuple(w[p : p + span])]) > 1 for q in range(p, p + span)}
+        out.append((rows[i][0], len(marked)))
+    return out
+
+
+@pytest.mark.parametrize("block", [3, 1024])
+def test_passages_of_words_that_documents_share(shipped, awkward, monkeypatch, block):
+    """Passages count if another document has them; those that only repeat within a document do not."""
+    monkeypatch.setattr(suffix_dedup, "BLOCK_PASSAGES", block)
+    rng = np.random.default_rng(8)
+    some = lambda n: " ".join(f"w{x}" for x in rng.integers(0, 500, n))
+    passages = [some(22), some(30), some(19)]
+    rows = [(i, some(15) + "\n " + passages[i % 3] + " " + some(20)) for i in range(30)]
+    rows += [(50, "one line again\n" * 40), (51, passages[1]), (52, passages[1].replace(" ", "\t  ")), (53, None), (54, some(300))]
+    df = shipped.createDataFrame(rows, "doc_id long, text string")
+    for table, source in ((df, rows), (awkward, pairs(awkward))):
+        got = suffix_dedup.dedup_substrings(table, word_span=20, word_gram=12).select("doc_id", "n_shared_words")
+        assert multiset(tuple(r) for r in got.collect()) == multiset(brute_shared_words(source, 20))
+
+
 def test_substrings_awkward(awkward, empty):
     assert _spans(awkward) == multiset(brute_spans(pairs(awkward), 400))
     assert _spans(empty) == Counter()
