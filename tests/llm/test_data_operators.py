@@ -74,6 +74,65 @@ def test_repeats_and_copied_pages_are_not_template(shipped):
     assert all(got[i] == "A short text\n\nand another" for i in range(2, 12)) and got[20] == "unlike the others"
 
 
+PAGES = "page_id long, url string, html string"
+
+
+def _texts(shipped, rows):
+    got = html_wrapper.extract(shipped.createDataFrame(rows, PAGES)).collect()
+    assert sorted(r.page_id for r in got) == sorted(r[0] for r in rows)
+    return {r.page_id: r.text for r in got}
+
+
+def test_the_wrapper_decides_by_position(shipped, monkeypatch):
+    """A template's line is dropped where the template has it and kept where a page quotes it; without the wrapper
+    nothing is read."""
+    page = lambda i, more="": f"<html><body><div><p>Welcome to our place</p><h2>Title {i}</h2><p>Own text number {i} with many words</p>{more}</div></body></html>"
+    rows = [(i, f"http://f.example/{i}", page(i)) for i in range(20)] + [(20, "http://f.example/20", page(20, "<h2>Quoted</h2><p>Welcome to our place</p>"))]
+    got = _texts(shipped, rows)
+    assert got[3] == "Title 3\n\nOwn text number 3 with many words"
+    assert got[20] == "Title 20\n\nOwn text number 20 with many words\n\nQuoted\n\nWelcome to our place"
+    reader = html_wrapper.Reader("", 21, {"div/p": 500, "div/h2": 90}, [])
+    assert reader.text(page(1)) == ""
+
+
+def test_hot_hosts_merge_in_steps(shipped, monkeypatch):
+    """Many different trees of one host become one expression that places all texts, however they are dealt."""
+    monkeypatch.setattr(html_wrapper, "MERGE_TREES", 4)
+    parts = ["<h2>a</h2>", "<ul><li>b</li><li>c</li></ul>", "<blockquote><p>d</p></blockquote>", "<table><tr><td>e</td></tr></table>", "<pre>f</pre>", "<h3>g</h3>"]
+    rows = []
+    for i in range(64):
+        chosen = [x for k, x in enumerate(parts) if i >> k & 1]
+        rows.append((i, f"http://hot.example/{i}", f"<body><nav>menu</nav><article><h1>page {i}</h1>{''.join(chosen)}<p>end {i}</p></article></body>"))
+    got = _texts(shipped, rows)
+    for i in range(64):
+        letters = [x for k, x in enumerate(["a", "b\n\nc", "d", "e", "f", "g"]) if i >> k & 1]
+        assert got[i] == "\n\n".join([f"page {i}", *letters, f"end {i}"])
+
+
+def test_long_deep_and_repeated_pages(shipped):
+    """Whole texts of very long, irregular and deep pages; repeated rows are read alike."""
+    irregular = "".join(f"<h{1 + i * i % 5}>t{i}</h{1 + i * i % 5}>" + "<p>x</p>" * (i * 7 % 3) + ("<ul><li>y</li></ul>" if i % 11 == 3 else "") for i in range(3000))
+    deep = "<div>" * 3000 + "<p>bottom</p>" + "</div>" * 3000
+    rows = [(1, "http://l.example/1", f"<article>{irregular}</article>"), (2, "http://l.example/2", "<article><p>short</p></article>")]
+    rows += [(3, "http://deep.example/", deep), (4, "http://r.example/", "<article><p>same</p></article>"), (5, "http://r.example/", "<article><p>same</p></article>")]
+    got = _texts(shipped, rows)
+    assert got[1].split("\n\n") == [t for i in range(3000) for t in [f"t{i}", *["x"] * (i * 7 % 3), *(["y"] if i % 11 == 3 else [])]]
+    assert got[2] == "short" and got[3] == "bottom" and got[4] == got[5] == "same"
+
+
+def test_common_subsequences():
+    rng = np.random.default_rng(3)
+    for _ in range(200):
+        a, b = (["abcd"[x] for x in rng.integers(0, 4, rng.integers(0, 14))] for _ in range(2))
+        best = [[0] * (len(b) + 1) for _ in range(len(a) + 1)]
+        for i in range(len(a)):
+            for j in range(len(b)):
+                best[i + 1][j + 1] = best[i][j] + 1 if a[i] == b[j] else max(best[i][j + 1], best[i + 1][j])
+        found = html_wrapper._common(a, b)
+        assert len(found) == best[-1][-1] and all(a[i] == b[j] for i, j in found)
+        assert all(p[0] < q[0] and p[1] < q[1] for p, q in zip(found, found[1:], strict=False))
+
+
 def test_extraction_empty(shipped):
     assert html_wrapper.extract(shipped.createDataFrame([], "page_id long, url string, html string, text string")).count() == 0
 
