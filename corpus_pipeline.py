@@ -43,8 +43,8 @@ def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One row of every group of texts alike in at least 0.8 of their five-word shingles: that of least id,
-    null ids last, ties by text."""
+    """One row of every group of texts alike in at least 0.8 of their five-word shingles, found by SimHash and by bands
+    for what lies beyond its radius: that of least id, null ids last, ties by text."""
     rows = _numbered(docs)
     found = near_copies(rows, id_col=ROW).select(F.col("doc_id").alias(ROW), "component_id")
     order = F.struct(F.col("doc_id").isNull(), "doc_id", F.xxhash64("text"), ROW)
@@ -75,7 +75,7 @@ def tokens(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 STAGES: list[tuple[str, Stage]] = [
     ("quality_rules", quality),
-    ("near_dedup", near_dedup),
+    ("simhash_near_dedup", near_dedup),
     ("benchmark_decontamination", decontaminate),
     ("source_mixing", mixture),
     ("token_output", tokens),

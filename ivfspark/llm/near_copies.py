@@ -1,10 +1,11 @@
 """Near copies by word shingles: groups of documents whose shingle sets have a Jaccard similarity of at least 0.8.
 
-Two texts at 0.8 lie about ten bits apart in a 64-bit SimHash and often more, too far for an exhaustive search
-by bit ranges, so candidates come from min-hash bands: pairs at 0.8 share none of the bands with a chance of
+SimHash comes first: fingerprints of the shingle sets are linked within a Hamming radius by ``simhash.links`` (BK-trees
+in shards). Two texts at 0.8 lie about ten bits apart in a 64-bit SimHash and often more, too far for an exhaustive
+search, so pairs beyond the radius come from min-hash bands: pairs at 0.8 share none of the bands with a chance of
 3 in a million, less above. Equal sets collapse to one representative. In each band's bucket all members are
 compared with one; then, in buckets that are not yet one group, every pair of different groups is compared. Each
-comparison is an exact Jaccard of the texts' shingles, so no pair below the threshold links.
+link of either kind is confirmed by an exact Jaccard of the texts' shingles, so no pair below the threshold links.
 
 Texts without words have the empty set and form one group; texts shorter than a shingle are one shingle. Null texts
 count as empty. Ids must be distinct and not null. An empty table gives an empty result.
@@ -19,6 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ivfspark.llm.simhash import bit_counts, links, majority
 from ivfspark.operators.graph import connected_components
 from ivfspark.plans.scratch import materialize
 
@@ -59,8 +61,16 @@ def bands(hashes: np.ndarray) -> list[int]:
     return np.array(keys, np.uint64).view(np.int64).tolist()
 
 
+def simhash_of(hashes: np.ndarray) -> int:
+    """SimHash of a shingle set; zero for the empty set."""
+    counts = np.zeros(64, np.int64)
+    for at in range(0, len(hashes), CHUNK):
+        counts += bit_counts(hashes[at : at + CHUNK])
+    return majority(counts, len(hashes)) if len(hashes) else 0
+
+
 def signatures(docs: DataFrame) -> DataFrame:
-    """``(doc_id, digest, bands)``: equal shingle sets have equal digests."""
+    """``(doc_id, digest, fp, bands)``: equal shingle sets have equal digests; fp is their SimHash."""
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from xxhash import xxh64_intdigest
@@ -68,9 +78,11 @@ def signatures(docs: DataFrame) -> DataFrame:
         for batch in batches:
             sets = [shingles(t.as_py()) for t in batch.column(1)]
             digests = np.array([xxh64_intdigest(s.tobytes(), SEED) for s in sets], np.uint64).view(np.int64)
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(digests), pa.array([bands(s) for s in sets], pa.list_(pa.int64()))], ["doc_id", "digest", "bands"])
+            prints = np.array([simhash_of(s) for s in sets], np.uint64).view(np.int64)
+            columns = [batch.column(0), pa.array(digests), pa.array(prints), pa.array([bands(s) for s in sets], pa.list_(pa.int64()))]
+            yield pa.RecordBatch.from_arrays(columns, ["doc_id", "digest", "fp", "bands"])
 
-    return docs.mapInArrow(kernel, "doc_id long, digest long, bands array<long>")
+    return docs.mapInArrow(kernel, "doc_id long, digest long, fp long, bands array<long>")
 
 
 def confirmed(pairs: DataFrame, docs: DataFrame) -> DataFrame:
@@ -94,11 +106,15 @@ def near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text")
     """``(doc_id, component_id)``: component_id is the least id reachable over similar pairs."""
     source = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("binary").alias("text"))
     signed = materialize(signatures(source), "signatures")
-    distinct = signed.groupBy("digest").agg(F.min("doc_id").alias("rep"), F.first("bands").alias("bands"))
+    distinct = materialize(signed.groupBy("digest").agg(F.min("doc_id").alias("rep"), F.first("fp").alias("fp"), F.first("bands").alias("bands")), "distinct")
+    prints = materialize(distinct.where(F.size("bands") > 0).groupBy("fp").agg(F.min("rep").alias("least")), "prints")
+    equal = distinct.join(prints, "fp").where("rep <> least").select(F.col("least").alias("a"), F.col("rep").alias("b"))
+    close = links(prints.select("fp", F.col("least").alias("rep"))).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
     placed = materialize(distinct.select("rep", F.explode("bands").alias("key")), "placed")
     buckets = placed.groupBy("key").agg(F.min("rep").alias("centre"), F.count("*").alias("n")).where("n > 1").drop("n")
     members = materialize(placed.join(buckets, "key"), "members")
-    first = materialize(confirmed(members.where("rep <> centre").select(F.col("centre").alias("a"), F.col("rep").alias("b")), source), "links")
+    star = members.where("rep <> centre").select(F.col("centre").alias("a"), F.col("rep").alias("b"))
+    first = materialize(confirmed(equal.unionByName(close).unionByName(star), source), "links")
     found = materialize(connected_components(first), "groups")
     grouped = members.join(found.withColumnRenamed("node", "rep"), "rep", "left").withColumn("component", F.coalesce("component", "rep"))
     centres = found.select(F.col("node").alias("centre"), F.col("component").alias("main"))

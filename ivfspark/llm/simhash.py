@@ -52,8 +52,17 @@ def fingerprint(text: bytes | None, width: int = SHINGLE_WORDS) -> int:
     counts = np.zeros(64, np.int64)
     for at in range(0, n, CHUNK):
         spans = zip(starts[at : min(at + CHUNK, n)].tolist(), last[at : at + CHUNK].tolist(), strict=True)
-        hashes = np.fromiter((xxh64_intdigest(joined[s:e], SEED) for s, e in spans), np.uint64)
-        counts += np.unpackbits(hashes.view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
+        counts += bit_counts(np.fromiter((xxh64_intdigest(joined[s:e], SEED) for s, e in spans), np.uint64))
+    return majority(counts, n)
+
+
+def bit_counts(hashes: np.ndarray) -> np.ndarray:
+    """How many of the hashes have each bit set."""
+    return np.unpackbits(hashes.view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
+
+
+def majority(counts: np.ndarray, n: int) -> int:
+    """The fingerprint whose bits are those that more than half of ``n`` hashes have."""
     return int(np.packbits(counts * 2 > n, bitorder="little").view(np.uint64)[0])
 
 
