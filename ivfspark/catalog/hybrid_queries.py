@@ -6,11 +6,12 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ivfspark import oracles as O
-from ivfspark.catalog.common import ATTRIBUTES, K, PROBES, Q0, attributes, query_batch, query_vector, rounded, standard_index
-from ivfspark.functions import vectors as V
-from ivfspark.operators import hybrid, search
+from ivfspark.catalog.common import ATTRIBUTES, EVERY, K, PROBES, Q0, attributed_index, attributes, calibrated, query_batch, query_vector, rounded, standard_index
+from ivfspark.functions.vectors import distance
+from ivfspark.operators import hybrid, measures, search
 from ivfspark.plans import planner, statistics
 from ivfspark.plans.predicates import Leaf, match_all
+from ivfspark.plans.scratch import materialize
 
 QUERIES_BY_KEY: dict = {}
 SQL: dict[str, str] = {}
@@ -105,7 +106,8 @@ SQL["stats_token_df"] = f"WITH {ATTRIBUTES} SELECT token, count(*) AS df FROM (S
 
 
 def _statistics(spark, sf_dir):
-    return statistics.analyze(attributes(spark, sf_dir).persist(), ["lang", "source", "n_chars", "quality"], ["tokens"])
+    """As stored with the index."""
+    return statistics.stored_statistics(attributed_index(spark, sf_dir))
 
 
 def _sql_estimates() -> str:
@@ -222,7 +224,7 @@ SQL["prefilter_ids"] = f"WITH {ATTRIBUTES} SELECT asset_id FROM att WHERE lang =
 
 def _ranked_sql(where: str, naive: bool = False) -> str:
     d = O.l2("e", Q0)
-    probed = f"part_id IN {O.probes(Q0, PROBES)}"
+    probed = f"part_id IN {O.probes(Q0)}"
     if naive:
         return (
             O.index()
@@ -237,11 +239,12 @@ def pre_sql(where: str) -> str:
 
 
 def post_sql(where: str) -> str:
-    return _ranked_sql(where).replace("{probed}", f"part_id IN {O.probes(Q0, PROBES)} AND")
+    return _ranked_sql(where).replace("{probed}", f"part_id IN {O.probes(Q0)} AND")
 
 
 def _setup(spark, sf_dir):
-    return standard_index(spark, sf_dir), attributes(spark, sf_dir), query_vector(spark, sf_dir)
+    index = attributed_index(spark, sf_dir)
+    return index, index.attributes(), query_vector(spark, sf_dir)
 
 
 @query
@@ -253,13 +256,13 @@ def hybrid_prefilter(spark, sf_dir):
 @query
 def hybrid_postfilter(spark, sf_dir):
     index, attrs, q = _setup(spark, sf_dir)
-    return rounded(hybrid.postfilter(index, attrs, q, K, PROBES, FR | ES), "dist")
+    return rounded(hybrid.postfilter(index, attrs, q, K, calibrated(spark, sf_dir), FR | ES), "dist")
 
 
 @query
 def hybrid_postfilter_naive(spark, sf_dir):
     index, attrs, q = _setup(spark, sf_dir)
-    return rounded(hybrid.postfilter(index, attrs, q, K, PROBES, FR | ES, fused=False), "dist")
+    return rounded(hybrid.postfilter(index, attrs, q, K, calibrated(spark, sf_dir), FR | ES, fused=False), "dist")
 
 
 @query
@@ -273,10 +276,10 @@ def hybrid_postfilter_wide(spark, sf_dir):
 def hybrid_auto(spark, sf_dir):
     """A rare predicate (filtered first) and a common one (filtered in the scan)."""
     index, attrs, q = _setup(spark, sf_dir)
-    stats = _statistics(spark, sf_dir)
+    stats, probes = statistics.stored_statistics(index), calibrated(spark, sf_dir)
     out = None
     for name, p in (("src3", SRC3), ("en", EN)):
-        found, plan = hybrid.hybrid(index, attrs, stats, q, K, PROBES, p)
+        found, plan = hybrid.hybrid(index, attrs, stats, q, K, probes, p)
         one = found.select(F.lit(name).alias("pred"), F.lit(plan.kind).alias("plan"), "rank", "vec_id", "dist")
         out = one if out is None else out.unionByName(one)
     return rounded(out, "dist")
@@ -292,9 +295,9 @@ _FR_ES = "lang = 'fr' OR lang = 'es'"
 SQL |= {"hybrid_prefilter": pre_sql(_FR_ES), "hybrid_postfilter": post_sql(_FR_ES), "hybrid_postfilter_naive": _ranked_sql(_FR_ES, True)}
 SQL["hybrid_postfilter_wide"] = pre_sql("n_chars < 50")
 SQL["hybrid_match"] = pre_sql("list_contains(tokens, 'the') AND list_contains(tokens, 'of')")
-_CHOSEN = "(SELECT CASE WHEN count(*) FILTER ({where}) < {n} * 50 THEN 'pre' ELSE 'post' END FROM documents JOIN embeddings ON vec_id = doc_id)"
+_CHOSEN = "(SELECT CASE WHEN count(*) FILTER ({where}) < {n} * (SELECT count(*) FROM x) / (SELECT count(*) FROM cen) THEN 'pre' ELSE 'post' END FROM documents JOIN embeddings ON vec_id = doc_id)"
 SQL["hybrid_auto"] = " UNION ALL ".join(
-    f"SELECT '{name}' AS pred, '{kind}' AS plan, * FROM ({make(p.to_sql())}) WHERE {_CHOSEN.format(where=p.to_sql(), n=PROBES)} = '{kind}'"
+    f"SELECT '{name}' AS pred, '{kind}' AS plan, rank, vec_id, dist FROM ({make(p.to_sql()).replace(' QUALIFY rank', f' AND {_CHOSEN.format(where=p.to_sql(), n=O.N)} = {kind!r} QUALIFY rank')})"
     for name, p in (("src3", SRC3), ("en", EN))
     for kind, make in (("pre", pre_sql), ("post", post_sql))
 )
@@ -304,17 +307,18 @@ SQL["hybrid_auto"] = " UNION ALL ".join(
 def hybrid_batch(spark, sf_dir):
     """A batch in which even queries ask for English and odd ones for middle-sized documents."""
     index, attrs, _ = _setup(spark, sf_dir)
-    predicates = {i: EN if i % 2 == 0 else MIDDLE for i in range(20)}
-    return rounded(hybrid.hybrid_batch(index, attrs, query_batch(spark, sf_dir), K, PROBES, predicates), "dist")
+    asked = query_batch(spark, sf_dir)
+    predicates = {r.qid: EN if r.qid // EVERY % 2 == 0 else MIDDLE for r in asked.select("qid").collect()}
+    return rounded(hybrid.hybrid_batch(index, attrs, asked, K, calibrated(spark, sf_dir), predicates), "dist")
 
 
 SQL["hybrid_batch"] = (
     O.index()
-    + f""", {ATTRIBUTES}, q AS (SELECT vec_id AS qid, e AS qe FROM x WHERE vec_id < 20),
-pr AS MATERIALIZED (SELECT qid, part_id FROM q, cen QUALIFY row_number() OVER (PARTITION BY qid ORDER BY {O.l2('c', 'qe')}, part_id) <= {PROBES})
+    + f""", {ATTRIBUTES}, q AS (SELECT vec_id AS qid, e AS qe FROM x WHERE vec_id % {EVERY} = 0),
+pr AS MATERIALIZED (SELECT qid, part_id FROM q, cen QUALIFY row_number() OVER (PARTITION BY qid ORDER BY {O.l2('c', 'qe')}, part_id) <= {O.N})
 SELECT qid, row_number() OVER (PARTITION BY qid ORDER BY {O.l2('e', 'qe')}, vec_id)::INT AS rank, vec_id, round({O.l2('e', 'qe')}, 6) AS dist
 FROM q JOIN pr USING (qid) JOIN p USING (part_id) JOIN att ON asset_id = vec_id
-WHERE CASE WHEN qid % 2 = 0 THEN lang = 'en' ELSE n_chars BETWEEN 1000 AND 3000 END QUALIFY rank <= {K}"""
+WHERE CASE WHEN qid // {EVERY} % 2 = 0 THEN lang = 'en' ELSE n_chars BETWEEN 1000 AND 3000 END QUALIFY rank <= {K}"""
 )
 
 
@@ -325,12 +329,15 @@ def postings_intersection(spark, sf_dir):
 
 SQL["postings_intersection"] = f"WITH {ATTRIBUTES} SELECT asset_id FROM att WHERE list_contains(tokens, 'the') AND list_contains(tokens, 'of') AND list_contains(tokens, 'is')"
 
-PER_BIN, BIN_PROBES = 10, 1
+#: Queries a bin, probes (the share of rows that these read is what matters) and neighbours of the experiment on selectivity.
+PER_BIN, BIN_PROBES, BIN_K = 10, 1, 100
+
+_binned: dict[tuple, str] = {}
 
 
 def bin_queries(spark, sf_dir):
-    """``(qid, token, qvec, df, bin)``: ten vectors with a token of their own document for every decade of
-    the token's share, picked by md5."""
+    """``(qid, token, mate, qvec, df, bin)``: for every decade of a token's share, ten vectors with a token of their own
+    document, picked by md5; ``mate`` is the document's most frequent token, and a query asks for both."""
     attrs = attributes(spark, sf_dir)
     n = attrs.count()
     posts = hybrid.postings(attrs)
@@ -339,37 +346,51 @@ def bin_queries(spark, sf_dir):
     keyed = posts.join(df, "token").withColumn("bin", decade).withColumn("_key", F.md5(F.concat_ws(":", "asset_id", "token").cast("binary")))
     place = F.row_number().over(W.partitionBy("bin").orderBy("_key"))
     chosen = keyed.withColumn("_place", place).where(F.col("_place") <= PER_BIN)
+    mates = keyed.join(F.broadcast(chosen.select("asset_id").distinct()), "asset_id", "left_semi").groupBy("asset_id").agg(F.max_by("token", F.struct("df", "token")).alias("mate"))
     vectors = standard_index(spark, sf_dir).live().select(F.col("vec_id").alias("asset_id"), F.col("embedding").alias("qvec"))
-    return chosen.join(vectors, "asset_id").select(((F.col("bin") + 4) * 100 + F.col("_place")).cast("long").alias("qid"), "token", "qvec", "df", "bin"), posts, n
+    numbered = chosen.join(mates, "asset_id").join(vectors, "asset_id")
+    return numbered.select(((F.col("bin") + 4) * 100 + F.col("_place")).cast("long").alias("qid"), "token", "mate", "qvec", "df", "bin"), posts
 
 
 def bin_results(spark, sf_dir):
-    """Per query of the bins: truth within the filter, what the probed partitions give, and the plan."""
-    index = standard_index(spark, sf_dir)
-    queries, posts, n = bin_queries(spark, sf_dir)
-    queries = queries.persist()
-    qualified = queries.join(posts, "token").join(index.live().select(F.col("vec_id").alias("asset_id"), "vec_id", "part_id", "embedding"), "asset_id")
-    scored = qualified.select("qid", "part_id", "vec_id", V.l2(F.col("embedding"), F.col("qvec")).alias("dist"))
-    truth = search.top_k_per_query(scored, K)
-    probes = search.probes_of(queries, index.centroids(), BIN_PROBES)
-    found = search.top_k_per_query(scored.join(probes, ["qid", "part_id"]).select("qid", "vec_id", "dist"), K)
-    sizes = truth.groupBy("qid").agg(F.count("*").alias("size"))
-    hits = truth.join(found.select("qid", "vec_id"), ["qid", "vec_id"]).groupBy("qid").agg(F.count("*").alias("hits"))
-    f_ivf = planner.ivf_selectivity(BIN_PROBES, 50, n)
-    plan = F.when(F.col("df") / n < f_ivf, "pre").otherwise("post")
-    base = queries.select("qid", "bin", "df", plan.alias("plan")).join(sizes, "qid").join(hits, "qid", "left")
-    post = F.coalesce("hits", F.lit(0)) / F.col("size")
-    return base.select("qid", "bin", "df", "plan", F.lit(1.0).alias("recall_pre"), post.alias("recall_post"), F.when(F.col("plan") == "pre", 1.0).otherwise(post).alias("recall_auto"))
+    """Per query of the bins: recall of the three ways to run it, each run as a batch, and the plan chosen for it from the
+    stored statistics. The truth comes from postings, not from an index."""
+    key = (spark.sparkContext.applicationId, sf_dir)
+    if key not in _binned:
+        index = attributed_index(spark, sf_dir)
+        attrs, stats = index.attributes(), statistics.stored_statistics(index)
+        found, posts = bin_queries(spark, sf_dir)
+        queries = materialize(found, "bins")
+        predicates = {r.qid: match_all("tokens", [r.token, r.mate]) for r in queries.select("qid", "token", "mate").collect()}
+        stats.frequencies("tokens", {x.value for p in predicates.values() for x in statistics.leaves(p)})
+        both = queries.join(posts, "token").join(posts.withColumnRenamed("token", "mate"), ["mate", "asset_id"])
+        vectors = index.live().select("asset_id", "vec_id", "embedding")
+        scored = both.join(vectors, "asset_id").select("qid", "vec_id", distance(F.col("embedding"), F.col("qvec"), index.metric).alias("dist"))
+        truth = materialize(search.top_k_per_query(scored, BIN_K), "truth")
+        auto, plans = hybrid.hybrid_each(index, attrs, stats, queries, BIN_K, BIN_PROBES, predicates)
+        ways = {
+            "pre": hybrid.prefilter_batch(index, attrs, queries, BIN_K, predicates),
+            "post": hybrid.hybrid_batch(index, attrs, queries, BIN_K, BIN_PROBES, predicates),
+            "auto": auto,
+        }
+        out = queries.select("qid", "bin", "df")
+        for way, rows in ways.items():
+            out = out.join(measures.recall_at_k(rows, truth, BIN_K).withColumnRenamed("recall", f"recall_{way}"), "qid")
+        chosen = spark.createDataFrame([(q, p.kind, float(p.f_filters)) for q, p in plans.items()], "qid long, plan string, f_filters double")
+        kept = materialize(out.join(F.broadcast(chosen), "qid"), "bins")  # as many rows as queries
+        _binned[key] = kept.inputFiles()[0].rsplit("/", 1)[0]
+    return spark.read.parquet(_binned[key])
 
 
 @query
 def hybrid_bins(spark, sf_dir):
-    return bin_queries(spark, sf_dir)[0].select("qid", "token", "df", "bin")
+    return bin_queries(spark, sf_dir)[0].select("qid", "token", "mate", "df", "bin")
 
 
 @query
 def recall_hybrid(spark, sf_dir):
-    return rounded(bin_results(spark, sf_dir), "recall_post", "recall_auto")
+    rows = bin_results(spark, sf_dir).select("qid", "bin", "df", "plan", "f_filters", "recall_pre", "recall_post", "recall_auto")
+    return rounded(rows, "f_filters", "recall_pre", "recall_post", "recall_auto")
 
 
 @query
@@ -385,20 +406,22 @@ def hybrid_plan_by_bin(spark, sf_dir):
 
 _BINS = (
     O.index()
-    + f""", {ATTRIBUTES}, nn AS (SELECT count(*) AS n FROM att), po AS MATERIALIZED (SELECT asset_id, unnest(tokens) AS token FROM att),
+    + f""", {ATTRIBUTES}, nn AS (SELECT count(*) AS n, count(*) / (SELECT count(*) FROM cen) AS size FROM att), po AS MATERIALIZED (SELECT asset_id, unnest(tokens) AS token FROM att),
 df AS MATERIALIZED (SELECT token, count(*) AS df FROM po GROUP BY token),
+mt AS MATERIALIZED (SELECT asset_id, arg_max(token, (df, token)) AS mate FROM po JOIN df USING (token) GROUP BY asset_id),
 bk AS (SELECT asset_id, token, df, CASE WHEN df * 10 >= n THEN -1 WHEN df * 100 >= n THEN -2 WHEN df * 1000 >= n THEN -3 ELSE -4 END AS bin FROM po JOIN df USING (token), nn),
 bq AS MATERIALIZED (SELECT asset_id, token, df, bin, row_number() OVER (PARTITION BY bin ORDER BY md5(asset_id || ':' || token)) AS pl FROM bk QUALIFY pl <= {PER_BIN}),
-q AS MATERIALIZED (SELECT ((bin + 4) * 100 + pl)::BIGINT AS qid, token, e AS qe, df, bin::INT AS bin FROM bq JOIN p ON vec_id = asset_id),
+q AS MATERIALIZED (SELECT ((bin + 4) * 100 + pl)::BIGINT AS qid, token, mate, e AS qe, df, bin::INT AS bin FROM bq JOIN mt USING (asset_id) JOIN p ON vec_id = asset_id),
 pr AS MATERIALIZED (SELECT qid, part_id FROM q, cen QUALIFY row_number() OVER (PARTITION BY qid ORDER BY {O.l2('c', 'qe')}, part_id) <= {BIN_PROBES}),
-sd AS MATERIALIZED (SELECT qid, part_id, vec_id, {O.l2('e', 'qe')} AS d FROM q JOIN po USING (token) JOIN p ON p.vec_id = po.asset_id),
-tr AS MATERIALIZED (SELECT qid, vec_id FROM sd QUALIFY row_number() OVER (PARTITION BY qid ORDER BY d, vec_id) <= {K}),
-fo AS MATERIALIZED (SELECT qid, vec_id FROM sd JOIN pr USING (qid, part_id) QUALIFY row_number() OVER (PARTITION BY qid ORDER BY d, vec_id) <= {K}),
+sd AS MATERIALIZED (SELECT qid, part_id, vec_id, {O.l2('e', 'qe')} AS d FROM q JOIN po USING (token) JOIN po pm ON pm.token = q.mate AND pm.asset_id = po.asset_id JOIN p ON p.vec_id = po.asset_id),
+tr AS MATERIALIZED (SELECT qid, vec_id FROM sd QUALIFY row_number() OVER (PARTITION BY qid ORDER BY d, vec_id) <= {BIN_K}),
+fo AS MATERIALIZED (SELECT qid, vec_id FROM sd JOIN pr USING (qid, part_id) QUALIFY row_number() OVER (PARTITION BY qid ORDER BY d, vec_id) <= {BIN_K}),
 sz AS (SELECT qid, count(*) AS size, count(*) FILTER ((qid, vec_id) IN (SELECT (qid, vec_id) FROM fo)) AS hits FROM tr GROUP BY qid),
-rs AS MATERIALIZED (SELECT qid, bin, df, CASE WHEN df / n < {BIN_PROBES} * 50 / n THEN 'pre' ELSE 'post' END AS plan, hits / size AS post FROM q JOIN sz USING (qid), nn),
-ra AS (SELECT qid, bin, df, plan, 1.0::DOUBLE AS recall_pre, post AS recall_post, CASE WHEN plan = 'pre' THEN 1.0 ELSE post END AS recall_auto FROM rs)"""
+fe AS (SELECT q.qid, least(q.df, d.df) / n AS f FROM q JOIN df d ON d.token = q.mate, nn),
+rs AS MATERIALIZED (SELECT qid, bin, df, f, CASE WHEN f < {BIN_PROBES} * avg_size / n THEN 'pre' ELSE 'post' END AS plan, hits / sz.size AS post FROM q JOIN sz USING (qid) JOIN fe USING (qid), (SELECT n, size AS avg_size FROM nn) nx),
+ra AS (SELECT qid, bin, df, f AS f_filters, plan, 1.0::DOUBLE AS recall_pre, post AS recall_post, CASE WHEN plan = 'pre' THEN 1.0 ELSE post END AS recall_auto FROM rs)"""
 )
-SQL["hybrid_bins"] = _BINS + " SELECT qid, token, df, bin FROM q"
-SQL["recall_hybrid"] = _BINS + " SELECT qid, bin, df, plan, recall_pre, round(recall_post, 6) AS recall_post, round(recall_auto, 6) AS recall_auto FROM ra"
+SQL["hybrid_bins"] = _BINS + " SELECT qid, token, mate, df, bin FROM q"
+SQL["recall_hybrid"] = _BINS + " SELECT qid, bin, df, plan, round(f_filters, 6) AS f_filters, recall_pre, round(recall_post, 6) AS recall_post, round(recall_auto, 6) AS recall_auto FROM ra"
 SQL["hybrid_recall_by_bin"] = _BINS + " SELECT bin, count(*) AS queries, round(avg(recall_pre), 6) AS recall_pre, round(avg(recall_post), 6) AS recall_post, round(avg(recall_auto), 6) AS recall_auto FROM ra GROUP BY bin"
 SQL["hybrid_plan_by_bin"] = _BINS + " SELECT bin, plan, count(*) AS queries FROM ra GROUP BY bin, plan"

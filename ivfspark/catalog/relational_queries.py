@@ -2,17 +2,22 @@
 
 from __future__ import annotations
 
+import time
+from dataclasses import replace
+
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ivfspark import oracles as O
-from ivfspark.catalog.common import ATTRIBUTES, CONFIG, K, PROBES, Q0, attributes, query_batch, query_vector, rounded, standard_index
+from ivfspark.catalog.common import ATTRIBUTES, CONFIG, EVERY, K, Q0, attributes, calibrated, query_batch, query_vector, rounded, standard_index
 from ivfspark.functions import tables
 from ivfspark.functions import vectors as V
 from ivfspark.operators import measures, search
 from ivfspark.operators.graph import connected_components
-from ivfspark.plans.scratch import scratch_path
+from ivfspark.plans.scratch import materialize, scratch_path
 from ivfspark.sources import collections
 from ivfspark.sources.collections import table
+from ivfspark.sources.index import build
 
 QUERIES_BY_KEY: dict = {}
 SQL: dict[str, str] = {}
@@ -83,40 +88,69 @@ SQL["range_join_bands"] = f"WITH {ATTRIBUTES} SELECT a.asset_id AS a_id, b.asset
 
 @query
 def knn_graph(spark, sf_dir):
-    """Five nearest other vectors of every vector, from one shared scan."""
-    v = collections.v1(spark, sf_dir)
-    found = search.knn_exact_batch(v, v.select(F.col("vec_id").alias("qid"), F.col("embedding").alias("qvec")), 6)
-    others = found.where(F.col("qid") != F.col("vec_id"))
-    return others.select(F.col("qid").alias("vec_id"), F.col("vec_id").alias("nbr"), "dist").transform(lambda d: _renumbered(d))
-
+    """Five nearest other vectors of every vector, as batches of index searches in which each partition is read once for a
+    block of queries. All partitions are probed, so that the result is exact; ``knn_graph_ann`` probes fewer."""
+    index = standard_index(spark, sf_dir)
+    return _neighbours(index, index.manifest["k"])
 
-def _renumbered(rows):
-    from pyspark.sql import Window as W
 
+def _neighbours(index, n):
+    asked = index.live().select(F.col("vec_id").alias("qid"), F.col("embedding").alias("qvec"))
+    others = search.ann_batch(index, asked, 6, n).where(F.col("qid") != F.col("vec_id"))
+    named = others.select(F.col("qid").alias("vec_id"), F.col("vec_id").alias("nbr"), "dist")
     place = F.row_number().over(W.partitionBy("vec_id").orderBy("dist", "nbr"))
-    return rounded(rows.withColumn("rank", place).where("rank <= 5").select("vec_id", "nbr", "rank", "dist"), "dist")
+    return rounded(named.withColumn("rank", place).where("rank <= 5").select("vec_id", "nbr", "rank", "dist"), "dist")
 
 
 _GRAPH = f"WITH RECURSIVE x AS ({O.V1}), g AS MATERIALIZED (SELECT a.vec_id, b.vec_id AS nbr, {O.l2('a.e', 'b.e')} AS d, row_number() OVER (PARTITION BY a.vec_id ORDER BY {O.l2('a.e', 'b.e')}, b.vec_id) AS rank FROM x a, x b WHERE a.vec_id <> b.vec_id QUALIFY rank <= 5)"
 SQL["knn_graph"] = _GRAPH + " SELECT vec_id, nbr, rank::INT AS rank, round(d, 6) AS dist FROM g"
 
 
+@query
+def knn_graph_ann(spark, sf_dir):
+    """The same through the calibrated number of partitions only."""
+    return _neighbours(standard_index(spark, sf_dir), calibrated(spark, sf_dir))
+
+
+SQL["knn_graph_ann"] = (
+    O.index()
+    + f""", gp AS MATERIALIZED (SELECT vec_id AS src, e AS qe, part_id FROM x, cen QUALIFY row_number() OVER (PARTITION BY vec_id ORDER BY {O.l2('c', 'e')}, part_id) <= {O.N}),
+six AS (SELECT src, vec_id, {O.l2('e', 'qe')} AS d, row_number() OVER (PARTITION BY src ORDER BY {O.l2('e', 'qe')}, vec_id) AS r FROM gp JOIN p USING (part_id) QUALIFY r <= 6)
+SELECT src AS vec_id, vec_id AS nbr, row_number() OVER (PARTITION BY src ORDER BY d, vec_id)::INT AS rank, round(d, 6) AS dist FROM six WHERE src <> vec_id QUALIFY rank <= 5"""
+)
+
+#: Cosine distance up to which two documents are near copies.
+NEAR = 0.02
+
+
+def near_copy_groups(spark, vectors, metric, radius):
+    """``(vec_id, group_id)`` of vectors within ``radius`` of each other, directly or through others. Equal vectors collapse
+    to their least id first; the others are found by an index over the distinct ones, whose every partition within reach of
+    a query is read, so that no link is lost: a partition's reach is bounded by its radius."""
+    bits = F.xxhash64("embedding")
+    keyed = materialize(vectors.withColumn("bits", bits), "keyed")
+    distinct = keyed.groupBy("bits", "embedding").agg(F.min("vec_id").alias("vec_id"))
+    cfg = replace(CONFIG, metric=metric)
+    index = build(spark, scratch_path(spark, "near"), distinct.select("vec_id", "embedding"), cfg)
+    links = materialize(search.range_join(index, radius).where("a <> b"), "near")
+    groups = connected_components(links)
+    named = distinct.select("bits", "vec_id").join(groups, F.col("vec_id") == F.col("node"), "left")
+    named = named.select("bits", F.col("vec_id").alias("rep"), F.coalesce("component", "vec_id").alias("group_id"))
+    return keyed.select("vec_id", "bits").join(named, "bits").select("vec_id", "group_id")
+
+
 @query
 def related_groups(spark, sf_dir):
-    """Groups of vectors linked by mutual nearest neighbours of rank two or less; group = least id."""
-    near = knn_graph(spark, sf_dir).where("rank <= 2").select("vec_id", "nbr")
-    back = near.select(F.col("nbr").alias("vec_id"), F.col("vec_id").alias("nbr"))
-    mutual = near.join(back, ["vec_id", "nbr"]).select(F.col("vec_id").alias("a"), F.col("nbr").alias("b"))
-    groups = connected_components(mutual)
-    return groups.groupBy(F.col("component").alias("group_id")).agg(F.count("*").alias("size"))
+    """Groups of documents that are near copies by their token vectors; every document has its group."""
+    return near_copy_groups(spark, collections.v3(spark, sf_dir), "cosine", NEAR)
 
 
-SQL["related_groups"] = (
-    _GRAPH
-    + """, m AS MATERIALIZED (SELECT a.vec_id AS a, a.nbr AS b FROM g a JOIN g b ON a.vec_id = b.nbr AND a.nbr = b.vec_id WHERE a.rank <= 2 AND b.rank <= 2),
+_V3 = O.V3
+SQL["related_groups"] = f"""WITH RECURSIVE x AS MATERIALIZED ({_V3}), u AS MATERIALIZED (SELECT e, min(vec_id) AS rep FROM x GROUP BY e),
+m AS MATERIALIZED (SELECT a.rep AS a, b.rep AS b FROM u a, u b WHERE a.rep <> b.rep AND {O.cosine('a.e', 'b.e')} <= {NEAR}),
 c AS (SELECT a AS node, a AS root FROM m UNION SELECT m.b, c.root FROM c JOIN m ON m.a = c.node),
-l AS (SELECT node, min(root) AS root FROM c GROUP BY node) SELECT root AS group_id, count(*) AS size FROM l GROUP BY root"""
-)
+l AS (SELECT node, min(root) AS root FROM c GROUP BY node)
+SELECT x.vec_id, coalesce(root, rep) AS group_id FROM x JOIN u USING (e) LEFT JOIN l ON node = rep"""
 
 
 # aggregates
@@ -124,14 +158,14 @@ l AS (SELECT node, min(root) AS root FROM c GROUP BY node) SELECT root AS group_
 
 def _recalls(spark, sf_dir):
     index, q = standard_index(spark, sf_dir), query_batch(spark, sf_dir)
-    recall = measures.recall_at_k(search.ann_batch(index, q, K, PROBES), search.knn_exact_batch(index.live(), q, K), K)
+    recall = measures.recall_at_k(search.ann_batch(index, q, K, calibrated(spark, sf_dir)), search.knn_exact_batch(index.live(), q, K), K)
     return recall.join(attributes(spark, sf_dir).select(F.col("asset_id").alias("qid"), "lang", "source"), "qid")
 
 
 _RECALLS = (
     O.index()
-    + f""", {ATTRIBUTES}, q AS (SELECT vec_id AS qid, e AS qe FROM x WHERE vec_id < 20),
-pr AS MATERIALIZED (SELECT qid, part_id FROM q, cen QUALIFY row_number() OVER (PARTITION BY qid ORDER BY {O.l2('c', 'qe')}, part_id) <= {PROBES}),
+    + f""", {ATTRIBUTES}, q AS (SELECT vec_id AS qid, e AS qe FROM x WHERE vec_id % {EVERY} = 0),
+pr AS MATERIALIZED (SELECT qid, part_id FROM q, cen QUALIFY row_number() OVER (PARTITION BY qid ORDER BY {O.l2('c', 'qe')}, part_id) <= {O.N}),
 dq AS MATERIALIZED (SELECT qid, vec_id, part_id, {O.l2('e', 'qe')} AS d FROM q, p),
 tr AS (SELECT qid, vec_id FROM dq QUALIFY row_number() OVER (PARTITION BY qid ORDER BY d, vec_id) <= {K}),
 ap AS (SELECT qid, vec_id FROM dq JOIN pr USING (qid, part_id) QUALIFY row_number() OVER (PARTITION BY qid ORDER BY d, vec_id) <= {K}),
@@ -277,7 +311,7 @@ def udtf_ann(spark, sf_dir):
     q = ", ".join(f"{x!r}D" for x in query_vector(spark, sf_dir))
     rows = spark.sql(
         f"""SELECT vec_id, vec_l2(CAST(embedding AS ARRAY<DOUBLE>), array({q})) AS dist
-        FROM ivf_vectors JOIN ivf_probe(array({q}), {PROBES}) USING (part_id) ORDER BY dist, vec_id LIMIT {K}"""
+        FROM ivf_vectors JOIN ivf_probe(array({q}), {calibrated(spark, sf_dir)}) USING (part_id) ORDER BY dist, vec_id LIMIT {K}"""
     )
     return rounded(search._ranked(rows, K), "dist")
 
@@ -291,14 +325,14 @@ def sql_ann(spark, sf_dir):
     q = ", ".join(f"{x!r}D" for x in query_vector(spark, sf_dir))
     rows = spark.sql(
         f"""WITH centres AS (SELECT part_id, vec_l2(centroid, array({q})) AS d FROM ivf_centroids),
-        near AS (SELECT part_id FROM centres ORDER BY d, part_id LIMIT {PROBES})
+        near AS (SELECT part_id FROM centres ORDER BY d, part_id LIMIT {calibrated(spark, sf_dir)})
         SELECT vec_id, vec_l2(CAST(embedding AS ARRAY<DOUBLE>), array({q})) AS dist FROM ivf_vectors
         WHERE part_id IN (SELECT part_id FROM near) ORDER BY dist, vec_id LIMIT {K}"""
     )
     return rounded(search._ranked(rows, K), "dist")
 
 
-_ANN = O.index() + f" SELECT row_number() OVER (ORDER BY {O.l2('e', Q0)}, vec_id)::INT AS rank, vec_id, round({O.l2('e', Q0)}, 6) AS dist FROM p WHERE part_id IN {O.probes(Q0, PROBES)} QUALIFY rank <= {K}"
+_ANN = O.index() + f" SELECT row_number() OVER (ORDER BY {O.l2('e', Q0)}, vec_id)::INT AS rank, vec_id, round({O.l2('e', Q0)}, 6) AS dist FROM p WHERE part_id IN {O.probes(Q0)} QUALIFY rank <= {K}"
 SQL["udtf_ann"] = SQL["sql_ann"] = _ANN
 
 
@@ -313,12 +347,12 @@ def scan_partition_pruned(spark, sf_dir):
     index = standard_index(spark, sf_dir)
     spark.dataSource.register(IvfSource)
     spark.conf.set("spark.sql.python.filterPushdown.enabled", "true")
-    parts = search.probe(index.centroids(), query_vector(spark, sf_dir), PROBES)
+    parts = search.probe(index.centroids(), query_vector(spark, sf_dir), calibrated(spark, sf_dir))
     rows = spark.read.format("ivf").option("path", index.store.path).load()
     return rows.where(F.col("part_id").isin(parts)).select("vec_id", "part_id")
 
 
-SQL["scan_partition_pruned"] = O.index() + f" SELECT vec_id, part_id FROM p WHERE part_id IN {O.probes(Q0, PROBES)}"
+SQL["scan_partition_pruned"] = O.index() + f" SELECT vec_id, part_id FROM p WHERE part_id IN {O.probes(Q0)}"
 
 
 @query
@@ -372,16 +406,21 @@ def neighbour_revenue(spark, sf_dir):
 SQL["neighbour_revenue"] = _ORDERS + " SELECT p_brand, count(*) AS n, sum(floor(l_extendedprice * 100 + 0.5)::BIGINT)::BIGINT AS cents FROM nr JOIN lineitem ON l_orderkey = vec_id JOIN part ON p_partkey = l_partkey GROUP BY p_brand"
 
 
+MINIBATCH_SHARES = (0.0004, 0.01, 0.1, 1.0)
+
+
 @query
 def recall_vs_minibatch(spark, sf_dir):
-    """Training batch from 1 % to all rows against recall, with probes fixed."""
-    from dataclasses import replace
-
-    v = collections.v1(spark, sf_dir)
-    n, q, rows = v.count(), query_batch(spark, sf_dir), []
-    for share in (0.01, 0.05, 0.25, 1.0):
-        cfg = replace(CONFIG, batch=max(1, int(n * share)))
-        index = standard_index(spark, sf_dir, cfg=cfg)
-        recall = search.recall_curve(index, q, K).where(F.col("n") == PROBES).first().recall
-        rows.append((share, cfg.batch, measures.memory_model(n, 64, cfg, index.manifest["k"])["train_bytes"], recall))
-    return rounded(spark.createDataFrame(rows, "batch_share double, batch long, train_bytes long, recall double"), "recall")
+    """Training batch from 0.04 % to all of the order vectors against recall of the 100 nearest, with the probes that 90 %
+    takes at the smallest batch; seconds of training are measured."""
+    v = materialize(collections.v4(spark, sf_dir), "orders")
+    n, asked, rows, probes = v.count(), v.where(F.col("vec_id") % EVERY == 0).select(F.col("vec_id").alias("qid"), F.col("embedding").alias("qvec")), [], None
+    for share in MINIBATCH_SHARES:
+        cfg = replace(CONFIG, target_size=100, batch=max(1, int(n * share + 0.5)))
+        began = time.perf_counter()
+        index = build(spark, scratch_path(spark, "minibatch"), v, cfg)
+        seconds = time.perf_counter() - began
+        probes = probes or search.calibrate_probes(index, asked, 100, 0.9)
+        recall = search.recall_curve(index, asked, 100).where(F.col("n") == probes).first().recall
+        rows.append((share, cfg.batch, measures.memory_model(n, 10, cfg, index.manifest["k"])["train_bytes"], probes, recall, seconds))
+    return rounded(spark.createDataFrame(rows, "batch_share double, batch long, train_bytes long, n_probe long, recall double, build_s double"), "recall")

@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ivfspark import oracles as O
-from ivfspark.catalog.common import CONFIG, K, PROBES, Q0, QUERIES, SUPER_SIZE, query_batch, query_vector, rounded, standard_index
+from ivfspark.catalog.common import CONFIG, EVERY, K, PROBES, Q0, SUPER_SIZE, calibrated, query_batch, query_vector, rounded, standard_index
 from ivfspark.functions import vectors as V
 from ivfspark.operators import clustering, measures, search
 from ivfspark.operators.clustering import Centroids
@@ -34,10 +34,11 @@ def _centroid_sql(cte: str, source: str, count: str = "v") -> str:
 
 
 def _pairs(spark, sf_dir, metric):
-    a = collections.v1(spark, sf_dir).where(F.col("vec_id") < QUERIES)
-    b = a.select(F.col("vec_id").alias("b_id"), F.col("embedding").alias("eb"))
+    """The stated queries against all vectors, by expressions."""
+    a = collections.v1(spark, sf_dir)
+    b = query_batch(spark, sf_dir).select(F.col("qid").alias("b_id"), F.col("qvec").alias("eb"))
     dist = V.distance(F.col("embedding"), F.col("eb"), metric)
-    return rounded(a.crossJoin(F.broadcast(b)).select(F.col("vec_id").alias("a_id"), "b_id", dist.alias("dist")), "dist")  # twenty rows
+    return rounded(a.crossJoin(b).select(F.col("vec_id").alias("a_id"), "b_id", dist.alias("dist")), "dist")
 
 
 @query
@@ -51,7 +52,7 @@ def pairwise_cosine(spark, sf_dir):
 
 
 for _m in ("l2", "cosine"):
-    SQL[f"pairwise_{_m}"] = f"WITH x AS ({O.V1}) SELECT a.vec_id AS a_id, b.vec_id AS b_id, round({O.distance('a.e', 'b.e', _m)}, 6) AS dist FROM x a, x b WHERE a.vec_id < 20 AND b.vec_id < 20"
+    SQL[f"pairwise_{_m}"] = f"WITH x AS ({O.V1}) SELECT a.vec_id AS a_id, b.vec_id AS b_id, round({O.distance('a.e', 'b.e', _m)}, 6) AS dist FROM x a, x b WHERE b.vec_id % {EVERY} = 0"
 
 
 @query
@@ -114,7 +115,7 @@ def knn_exact_batch(spark, sf_dir):
 
 
 SQL["knn_exact_batch"] = f"""WITH x AS ({O.V1}) SELECT q.vec_id AS qid, row_number() OVER (PARTITION BY q.vec_id ORDER BY {O.l2('x.e', 'q.e')}, x.vec_id)::INT AS rank,
-  x.vec_id, round({O.l2('x.e', 'q.e')}, 6) AS dist FROM x, x q WHERE q.vec_id < {QUERIES} QUALIFY rank <= {K}"""
+  x.vec_id, round({O.l2('x.e', 'q.e')}, 6) AS dist FROM x, x q WHERE q.vec_id % {EVERY} = 0 QUALIFY rank <= {K}"""
 
 
 @query
@@ -145,7 +146,7 @@ def range_search(spark, sf_dir):
     return rounded(search.range_search(collections.v1(spark, sf_dir), query_batch(spark, sf_dir), 1.2), "dist")
 
 
-SQL["range_search"] = f"WITH x AS ({O.V1}) SELECT q.vec_id AS qid, x.vec_id, round({O.l2('x.e', 'q.e')}, 6) AS dist FROM x, x q WHERE q.vec_id < {QUERIES} AND {O.l2('x.e', 'q.e')} <= 1.2"
+SQL["range_search"] = f"WITH x AS ({O.V1}) SELECT q.vec_id AS qid, x.vec_id, round({O.l2('x.e', 'q.e')}, 6) AS dist FROM x, x q WHERE q.vec_id % {EVERY} = 0 AND {O.l2('x.e', 'q.e')} <= 1.2"
 
 
 @query
@@ -386,36 +387,36 @@ SQL["probe_partitions"] = O.index() + f" SELECT row_number() OVER (ORDER BY {O.l
 
 @query
 def ann_search(spark, sf_dir):
-    """Flagship: the ten nearest vectors through the three nearest partitions."""
-    return rounded(search.ann(standard_index(spark, sf_dir), query_vector(spark, sf_dir), K, PROBES), "dist")
+    """Flagship: the ten nearest vectors through as many of the nearest partitions as a recall of 0.9 takes."""
+    return rounded(search.ann(standard_index(spark, sf_dir), query_vector(spark, sf_dir), K, calibrated(spark, sf_dir)), "dist")
 
 
 @query
 def ann_search_cosine(spark, sf_dir):
-    return rounded(search.ann(standard_index(spark, sf_dir, "cosine"), query_vector(spark, sf_dir), K, PROBES), "dist")
+    return rounded(search.ann(standard_index(spark, sf_dir, "cosine"), query_vector(spark, sf_dir), K, calibrated(spark, sf_dir, "cosine")), "dist")
 
 
 @query
 def ann_single_plan(spark, sf_dir):
-    return rounded(search.ann_single_plan(standard_index(spark, sf_dir), query_vector(spark, sf_dir), K, PROBES), "dist")
+    return rounded(search.ann_single_plan(standard_index(spark, sf_dir), query_vector(spark, sf_dir), K, calibrated(spark, sf_dir)), "dist")
 
 
 def ann_sql(metric: str = "l2", where: str = "true") -> str:
     d = O.distance("e", Q0, metric)
     return (
         O.index(metric=metric)
-        + f" SELECT row_number() OVER (ORDER BY {d}, vec_id)::INT AS rank, vec_id, round({d}, 6) AS dist FROM p WHERE part_id IN {O.probes(Q0, PROBES, metric)} AND {where} QUALIFY rank <= {K}"
+        + f" SELECT row_number() OVER (ORDER BY {d}, vec_id)::INT AS rank, vec_id, round({d}, 6) AS dist FROM p WHERE part_id IN {O.probes(Q0, metric=metric)} AND {where} QUALIFY rank <= {K}"
     )
 
 
 SQL |= {"ann_search": ann_sql(), "ann_search_cosine": ann_sql("cosine"), "ann_single_plan": ann_sql()}
 
 #: Neighbours, probe ranks and truths of the query batch.
-BATCH = f""", q AS (SELECT vec_id AS qid, e AS qe FROM x WHERE vec_id < {QUERIES}),
+BATCH = f""", q AS (SELECT vec_id AS qid, e AS qe FROM x WHERE vec_id % {EVERY} = 0),
 pr AS MATERIALIZED (SELECT qid, part_id, row_number() OVER (PARTITION BY qid ORDER BY {O.l2('c', 'qe')}, part_id) AS pr FROM q, cen),
 dq AS MATERIALIZED (SELECT qid, vec_id, part_id, {O.l2('e', 'qe')} AS d FROM q, p),
 tr AS MATERIALIZED (SELECT qid, vec_id, part_id FROM dq QUALIFY row_number() OVER (PARTITION BY qid ORDER BY d, vec_id) <= {K}),
-ap AS MATERIALIZED (SELECT qid, vec_id, d, row_number() OVER (PARTITION BY qid ORDER BY d, vec_id) AS rank FROM dq JOIN pr USING (qid, part_id) WHERE pr <= {PROBES} QUALIFY rank <= {K})"""
+ap AS MATERIALIZED (SELECT qid, vec_id, d, row_number() OVER (PARTITION BY qid ORDER BY d, vec_id) AS rank FROM dq JOIN pr USING (qid, part_id) WHERE pr <= {O.N} QUALIFY rank <= {K})"""
 
 
 @query
@@ -429,8 +430,7 @@ SQL["recall_vs_probes"] = O.index() + BATCH + _CURVE + " SELECT n, round(recall,
 
 @query
 def calibrate_probes(spark, sf_dir):
-    n = search.calibrate_probes(standard_index(spark, sf_dir), query_batch(spark, sf_dir), K, 0.9)
-    return spark.createDataFrame([(n,)], "n long")
+    return spark.createDataFrame([(calibrated(spark, sf_dir),)], "n long")
 
 
 SQL["calibrate_probes"] = O.index() + BATCH + _CURVE + " SELECT min(n) AS n FROM cu WHERE recall >= 0.9"
@@ -447,7 +447,7 @@ SQL["rescaled_probes"] = "SELECT g::DOUBLE AS growth, greatest(1, floor(800.0::D
 
 def _batch_results(spark, sf_dir):
     index, q = standard_index(spark, sf_dir), query_batch(spark, sf_dir)
-    return index, q, search.ann_batch(index, q, K, PROBES), search.knn_exact_batch(index.live(), q, K)
+    return index, q, search.ann_batch(index, q, K, calibrated(spark, sf_dir)), search.knn_exact_batch(index.live(), q, K)
 
 
 @query
@@ -481,49 +481,49 @@ SQL["missed_neighbours"] = O.index() + BATCH + " SELECT qid, vec_id FROM tr EXCE
 @query
 def batch_probe_groups(spark, sf_dir):
     index = standard_index(spark, sf_dir)
-    groups = search.probe_groups(query_batch(spark, sf_dir), index.centroids(), PROBES)
+    groups = search.probe_groups(query_batch(spark, sf_dir), index.centroids(), calibrated(spark, sf_dir))
     return groups.select("part_id", F.size("qids").cast("long").alias("n_queries"), F.array_join("qids", ",").alias("qids"))
 
 
-SQL["batch_probe_groups"] = O.index() + BATCH + f" SELECT part_id, count(*) AS n_queries, string_agg(qid, ',' ORDER BY qid) AS qids FROM pr WHERE pr <= {PROBES} GROUP BY part_id"
+SQL["batch_probe_groups"] = O.index() + BATCH + f" SELECT part_id, count(*) AS n_queries, string_agg(qid, ',' ORDER BY qid) AS qids FROM pr WHERE pr <= {O.N} GROUP BY part_id"
 
 
 @query
 def ann_batch(spark, sf_dir):
-    return rounded(search.ann_batch(standard_index(spark, sf_dir), query_batch(spark, sf_dir), K, PROBES), "dist")
+    return rounded(search.ann_batch(standard_index(spark, sf_dir), query_batch(spark, sf_dir), K, calibrated(spark, sf_dir)), "dist")
 
 
 @query
 def ann_batch_sql(spark, sf_dir):
-    return rounded(search.ann_batch(standard_index(spark, sf_dir), query_batch(spark, sf_dir), K, PROBES, "sql"), "dist")
+    return rounded(search.ann_batch(standard_index(spark, sf_dir), query_batch(spark, sf_dir), K, calibrated(spark, sf_dir), "sql"), "dist")
 
 
 @query
 def ann_sequential(spark, sf_dir):
     """Baseline: queries one at a time."""
-    return rounded(search.ann_sequential(standard_index(spark, sf_dir), query_batch(spark, sf_dir, 8), K, PROBES), "dist")
+    return rounded(search.ann_sequential(standard_index(spark, sf_dir), query_batch(spark, sf_dir), K, calibrated(spark, sf_dir)), "dist")
 
 
 _AP = " SELECT qid, rank::INT AS rank, vec_id, round(d, 6) AS dist FROM ap"
-SQL |= {"ann_batch": O.index() + BATCH + _AP, "ann_batch_sql": O.index() + BATCH + _AP, "ann_sequential": O.index() + BATCH + _AP + " WHERE qid < 8"}
+SQL |= {"ann_batch": O.index() + BATCH + _AP, "ann_batch_sql": O.index() + BATCH + _AP, "ann_sequential": O.index() + BATCH + _AP}
 
 
 @query
 def scan_cost(spark, sf_dir):
     index = standard_index(spark, sf_dir)
-    return measures.scan_cost(index, search.probes_of(query_batch(spark, sf_dir), index.centroids(), PROBES))
+    return measures.scan_cost(index, search.probes_of(query_batch(spark, sf_dir), index.centroids(), calibrated(spark, sf_dir)))
 
 
-SQL["scan_cost"] = O.index() + BATCH + f" SELECT qid, count(*) AS rows_scanned FROM pr JOIN p USING (part_id) WHERE pr <= {PROBES} GROUP BY qid"
+SQL["scan_cost"] = O.index() + BATCH + f" SELECT qid, count(*) AS rows_scanned FROM pr JOIN p USING (part_id) WHERE pr <= {O.N} GROUP BY qid"
 
 
 @query
 def distinct_probes(spark, sf_dir):
     index = standard_index(spark, sf_dir)
-    return search.probes_of(query_batch(spark, sf_dir), index.centroids(), PROBES).agg(F.count_distinct("part_id").alias("n"))
+    return search.probes_of(query_batch(spark, sf_dir), index.centroids(), calibrated(spark, sf_dir)).agg(F.count_distinct("part_id").alias("n"))
 
 
-SQL["distinct_probes"] = O.index() + BATCH + f" SELECT count(DISTINCT part_id) AS n FROM pr WHERE pr <= {PROBES}"
+SQL["distinct_probes"] = O.index() + BATCH + f" SELECT count(DISTINCT part_id) AS n FROM pr WHERE pr <= {O.N}"
 
 
 @query

@@ -2,13 +2,17 @@
 
 from __future__ import annotations
 
+import time
+from dataclasses import replace
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ivfspark import oracles as O
-from ivfspark.catalog.common import CONFIG, K, PROBES, Q0, private_index, query_vector, rounded
-from ivfspark.operators import search, updates
+from ivfspark.catalog.common import CONFIG, K, Q0, calibrated, private_index, query_vector, rounded
+from ivfspark.operators import measures, search, serving, updates
+from ivfspark.operators.prefix import running_total
 from ivfspark.plans.scratch import materialize, scratch_path
 from ivfspark.sources import collections
 from ivfspark.sources.collections import table
@@ -66,7 +70,7 @@ def state_sql(limit: str = "9000000000", x: str = "") -> str:
 _STATE = f"WITH x AS ({O.V1}), {state_sql()}"
 _INDEXED = O.index() + ", " + state_sql()
 _PLACED = ", pl AS MATERIALIZED (SELECT lv.*, CASE WHEN seq > 0 THEN -1 ELSE p.part_id END AS part_id FROM lv LEFT JOIN p ON p.vec_id = lv.vec_id)"
-_VISIBLE = f"(part_id = -1 OR part_id IN {O.probes(Q0, PROBES)})"
+_VISIBLE = f"(part_id = -1 OR part_id IN {O.probes(Q0)})"
 _FLUSHED = f""", fl AS MATERIALIZED (SELECT asset_id, vec_id, e, arg_min(part_id, (d, part_id)) AS part_id FROM (
   SELECT asset_id, vec_id, e, part_id, {O.l2('e', 'c')} AS d FROM lv, cen WHERE seq > 0) GROUP BY asset_id, vec_id, e),
 af AS MATERIALIZED (SELECT asset_id, vec_id, e, part_id FROM fl UNION ALL SELECT lv.asset_id, lv.vec_id, lv.e, p.part_id FROM lv JOIN p ON p.vec_id = lv.vec_id WHERE seq = 0)"""
@@ -100,25 +104,25 @@ def delta_share(spark, sf_dir):
 
 @query
 def union_delta(spark, sf_dir):
-    """Rows that a search of three partitions reads, by where they are."""
+    """Rows that a search reads, by where they are."""
     index = changed_index(spark, sf_dir)
-    parts = search.probe(index.centroids(), query_vector(spark, sf_dir), PROBES)
+    parts = search.probe(index.centroids(), query_vector(spark, sf_dir), calibrated(spark, sf_dir))
     return index.live(parts).groupBy("part_id").agg(F.count("*").alias("n"))
 
 
 @query
 def ann_with_delta(spark, sf_dir):
     """Search while the changes are in the delta."""
-    return rounded(search.ann(changed_index(spark, sf_dir), query_vector(spark, sf_dir), K, PROBES), "dist")
+    return rounded(search.ann(changed_index(spark, sf_dir), query_vector(spark, sf_dir), K, calibrated(spark, sf_dir)), "dist")
 
 
 @query
 def ann_after_delete(spark, sf_dir):
     """The three nearest assets are deleted; none of them comes back."""
-    index = private_index(spark, sf_dir)
+    index, n = private_index(spark, sf_dir), calibrated(spark, sf_dir)
     q = query_vector(spark, sf_dir)
-    gone = search.ann(index, q, 3, PROBES).select(F.col("vec_id").alias("asset_id"))
-    return rounded(search.ann(updates.delete(index, gone), q, K, PROBES), "dist")
+    gone = search.ann(index, q, 3, n).select(F.col("vec_id").alias("asset_id"))
+    return rounded(search.ann(updates.delete(index, gone), q, K, n), "dist")
 
 
 @query
@@ -154,11 +158,11 @@ SQL |= {
     "union_delta": _INDEXED + _PLACED + f" SELECT part_id, count(*) AS n FROM pl WHERE {_VISIBLE} GROUP BY part_id",
     "ann_with_delta": _INDEXED + _PLACED + _search_sql("pl", _VISIBLE),
     "ann_after_delete": O.index()
-    + f", f AS (SELECT vec_id, {_D} AS d, row_number() OVER (ORDER BY {_D}, vec_id) AS r FROM p WHERE part_id IN {O.probes(Q0, PROBES)}) SELECT (r - 3)::INT AS rank, vec_id, round(d, 6) AS dist FROM f WHERE r BETWEEN 4 AND {K + 3}",
+    + f", f AS (SELECT vec_id, {_D} AS d, row_number() OVER (ORDER BY {_D}, vec_id) AS r FROM p WHERE part_id IN {O.probes(Q0)}) SELECT (r - 3)::INT AS rank, vec_id, round(d, 6) AS dist FROM f WHERE r BETWEEN 4 AND {K + 3}",
     "flush_assign": _INDEXED + _FLUSHED + " SELECT asset_id, vec_id, part_id FROM af",
     "flush_centroids": _INDEXED
     + _FLUSHED
-    + """, mem AS (SELECT part_id, count(*) AS n FROM p GROUP BY part_id),
+    + """, mem AS (SELECT part_id, count(*) FILTER (vec_id NOT IN (SELECT asset_id FROM st)) AS n FROM p GROUP BY part_id),
 fs AS (SELECT part_id, dim, sum(floor(e[dim] * 1073741824 + 0.5)::BIGINT)::BIGINT AS s, count(*) AS m FROM (SELECT part_id, e, unnest(range(1, len(e) + 1)) AS dim FROM fl) GROUP BY part_id, dim),
 cd AS (SELECT part_id, unnest(range(1, len(c) + 1)) AS dim, c FROM cen)
 SELECT cd.part_id, n + coalesce(m, 0) AS n_members, cd.dim::INT AS dim, round(CASE WHEN m IS NULL THEN c[cd.dim] ELSE (n * c[cd.dim] + s::DOUBLE / 1073741824) / (n + m) END, 6) AS value
@@ -180,35 +184,105 @@ def monitor_growth(spark, sf_dir):
 
 SQL["monitor_growth"] = (
     _STATE
-    + """, b AS (SELECT count(*) AS n, greatest(1, count(*) // 50) AS k FROM x), f AS (SELECT count(*) AS f FROM lv WHERE seq > 0)
+    + """, b AS (SELECT count(*) AS n, greatest(1, count(*) // 50) AS k FROM x), f AS (SELECT count(*) AS f FROM lv)
 SELECT 'delta' AS step, round(n / k, 6) AS average, 0.0::DOUBLE AS growth, 'flush' AS action FROM b
-UNION ALL SELECT 'flushed', round((n + f) / k, 6), round((n + f) / n - 1, 6), CASE WHEN ((n + f) / k) / (n / k) - 1 > 0.2 THEN 'rebuild' ELSE 'none' END FROM b, f"""
+UNION ALL SELECT 'flushed', round(f / k, 6), round(f / n - 1, 6), CASE WHEN f / n - 1 > 0.2 THEN 'rebuild' ELSE 'none' END FROM b, f"""
 )
 
 
+def _flush_and_rebuild(spark, sf_dir):
+    """What the jobs of a flush and of a rebuild of the same changes read and wrote, by their task metrics."""
+    out = []
+    for name, step in (("flush", updates.flush), ("rebuild", updates.rebuild)):
+        io = updates.IoCounter()
+        step(updates.apply_changes(private_index(spark, sf_dir), changes_of(spark, sf_dir)), io)
+        out.append((name, io))
+    return out
+
+
 @query
 def io_incremental_vs_full(spark, sf_dir):
-    """Rows read and written by a flush and by a rebuild of the same changes."""
-    flush, full = updates.IoCounter(), updates.IoCounter()
-    updates.flush(updates.apply_changes(private_index(spark, sf_dir), changes_of(spark, sf_dir)), flush)
-    updates.rebuild(updates.apply_changes(private_index(spark, sf_dir), changes_of(spark, sf_dir)), full)
-    rows = [("flush", flush.rows_read, flush.rows_written), ("rebuild", full.rows_read, full.rows_written)]
-    return spark.createDataFrame(rows, "policy string, rows_read long, rows_written long")
+    """Rows written by a flush and by a rebuild, counted by their tasks."""
+    rows = [(name, io.rows_written) for name, io in _flush_and_rebuild(spark, sf_dir)]
+    return spark.createDataFrame(rows, "policy string, rows_written long")
+
+
+@query
+def io_measured(spark, sf_dir):
+    """Rows, bytes and seconds of a flush and of a rebuild, as measured."""
+    rows = [(name, io.rows_read, io.rows_written, io.bytes_read, io.bytes_written, io.seconds) for name, io in _flush_and_rebuild(spark, sf_dir)]
+    return spark.createDataFrame(rows, "policy string, rows_read long, rows_written long, bytes_read long, bytes_written long, seconds double")
 
 
 SQL["io_incremental_vs_full"] = (
     _INDEXED
     + _FLUSHED
-    + """, k AS (SELECT count(*) AS k FROM cen), f AS (SELECT count(*) AS f, count(DISTINCT part_id) AS t FROM fl), l AS (SELECT count(*) AS n FROM lv)
-SELECT 'flush' AS policy, f + k AS rows_read, f + t AS rows_written FROM f, k
-UNION ALL SELECT 'rebuild', 2 * n + least(n, 64) * 6, n + greatest(1, n // 50) FROM l"""
+    + """, k AS (SELECT count(*) AS k FROM cen), f AS (SELECT count(*) AS f FROM fl), l AS (SELECT count(*) AS n FROM lv)
+SELECT 'flush' AS policy, 2 * f + k AS rows_written FROM f, k
+UNION ALL SELECT 'rebuild', n + greatest(1, n // 50) FROM l"""
 )
 
+#: The growth experiment: share of all rows that an epoch adds to the first half, growth limit, epochs that reach all rows, queries, neighbours.
+GROWTH_SHARE, GROWTH_LIMIT, GROWTH_EPOCHS, GROWTH_QUERIES, GROWTH_K = 0.03, 0.5, 17, 128, 100
+GROWTH_CONFIG = replace(CONFIG, target_size=100)
+#: Queries timed before and after each maintenance, and epochs of the policies compared with.
+TIMED, OTHER_EPOCHS = 8, 12
+
+_grown: dict[tuple, str] = {}
+
+
+def _latency(index: Index, vectors: list, n: int) -> float:
+    server = serving.DiskServer(index)
+    began = time.perf_counter()
+    for q in vectors:
+        server.search(q, GROWTH_K, n)
+    return 1000 * (time.perf_counter() - began) / max(1, len(vectors))
+
+
+def grown(spark: SparkSession, sf_dir: str, policy: str, epochs: int) -> DataFrame:
+    """The growth experiment on real versions of an index of the order vectors: half of the rows, then 3 % of all an epoch.
+
+    Probes follow the average partition. Recall is over the visible rows; rows and bytes are those that the jobs
+    of an epoch's maintenance wrote and read; latencies are of single searches before and after it.
+    """
+    key = (spark.sparkContext.applicationId, sf_dir, policy, epochs)
+    if key not in _grown:
+        v = collections.v4(spark, sf_dir)
+        ranked = materialize(running_total(v, F.floor(F.col("vec_id") / 4096), [F.col("vec_id")], F.lit(1).cast("long"), "place"), "orders")
+        n = ranked.count()
+        step, at = int(n * GROWTH_SHARE), n // 2
+        index = private_index(spark, sf_dir, GROWTH_CONFIG, ranked.where(F.col("place") < at).drop("place"))
+        first = F.md5(F.col("vec_id").cast("string").cast("binary"))
+        chosen = ranked.where(F.col("place") < at).orderBy(first).limit(GROWTH_QUERIES)
+        queries = materialize(chosen.select(F.col("vec_id").alias("qid"), F.col("embedding").alias("qvec")), "queries")
+        timed = [r.qvec for r in queries.limit(TIMED).collect()]
+        probes, built = search.calibrate_probes(index, queries, GROWTH_K, 0.9), index.manifest["avg_at_build"]
+        rows = []
+        for epoch in range(1, epochs + 1):
+            upto = min(n, at + step)
+            index = updates.upsert(index, ranked.where((F.col("place") >= at) & (F.col("place") < upto)).drop("place").withColumn("asset_id", F.col("vec_id")))
+            at = upto
+            own = lambda: search.rescale_probes(probes, built, updates.monitor(index).average)  # noqa: B023, E731
+            before, io = _latency(index, timed, own()), updates.IoCounter()
+            flushed, act = updates.maintain(index, GROWTH_LIMIT, policy=policy, io=io)
+            health = updates.Health(flushed.average, (flushed.manifest["n_main"] / index.manifest["k"]) / index.manifest["avg_at_build"] - 1, 0.0)
+            index = flushed
+            after = _latency(index, timed, own())
+            found = search.ann_batch(index, queries, GROWTH_K, own())
+            recall = measures.recall_at_k(found, search.knn_exact_batch(index.live(), queries, GROWTH_K, index.metric), GROWTH_K).agg(F.avg("recall")).first()[0]
+            m = index.manifest
+            rows.append((epoch, m["n_main"], m["n_delta"], health.average, health.growth, act, io.rows_written, io.rows_read, io.bytes_read + io.bytes_written, own(), float(recall), before, after))
+        schema = "epoch long, n long, n_delta long, average double, growth double, action string, rows_written long, rows_read long, bytes long, n_probe long, recall double, before_ms double, after_ms double"
+        path = scratch_path(spark, f"growth-{policy}")
+        spark.createDataFrame(rows, schema).coalesce(1).write.parquet(path)
+        _grown[key] = path
+    return spark.read.parquet(_grown[key])
+
 
 def growth_table(spark: SparkSession, n: int, epochs: int, target: int, share: float = 0.03, limit: float = 0.5, policy: str = "auto") -> DataFrame:
     """Bootstrap with half of ``n``, then ``share`` of all rows an epoch, under the monitor's own rules.
 
-    Row counts only: what a flush and a rebuild of these sizes write.
+    A forecast from row counts only; ``grown`` runs the real thing.
     """
     rows, main = [], n // 2
     k = max(1, main // target)
@@ -226,47 +300,50 @@ def growth_table(spark: SparkSession, n: int, epochs: int, target: int, share: f
     return spark.createDataFrame(rows, "epoch long, n long, average double, growth double, action string, rows_written long")
 
 
+_GROWTH = ("epoch", "n", "average", "growth", "action", "rows_written")
+
+
 @query
 def growth_epochs(spark, sf_dir):
-    return rounded(growth_table(spark, table(spark, sf_dir, "orders").count(), 12, 100), "average", "growth")
+    """State after each epoch, and rows written by its maintenance, under the monitor's own rules."""
+    return rounded(grown(spark, sf_dir, "auto", GROWTH_EPOCHS).select(*_GROWTH), "average", "growth")
 
 
 @query
 def growth_epochs_rebuild_always(spark, sf_dir):
     """Baseline: a rebuild after every epoch."""
-    return rounded(growth_table(spark, table(spark, sf_dir, "orders").count(), 12, 100, policy="rebuild_always"), "average", "growth")
+    return rounded(grown(spark, sf_dir, "rebuild_always", OTHER_EPOCHS).select(*_GROWTH), "average", "growth")
+
+
+@query
+def growth_never_flush(spark, sf_dir):
+    """Baseline: the delta only grows, and every search reads all of it."""
+    return grown(spark, sf_dir, "never", OTHER_EPOCHS).select("epoch", "n", "n_delta", "action", "rows_written")
 
 
-def _growth_sql(always: bool) -> str:
-    rebuild = "true" if always else "(r.n + st) / r.k / r.built - 1 > 0.5"
-    return f"""WITH RECURSIVE c AS (SELECT count(*) AS n, floor(count(*) * 0.03)::BIGINT AS st FROM orders),
+def _growth_sql(always: bool, epochs: int) -> str:
+    rebuild = "true" if always else f"m / r.k / r.built - 1 > {GROWTH_LIMIT}"
+    written = "m + greatest(1, m // 100)" if always else f"2 * (m - r.n) + r.k + CASE WHEN {rebuild} THEN m + greatest(1, m // 100) ELSE 0 END"
+    return f"""WITH RECURSIVE c AS (SELECT count(*) AS n, floor(count(*) * {GROWTH_SHARE})::BIGINT AS st FROM orders),
 r AS (SELECT 0::BIGINT AS epoch, n // 2 AS n, greatest(1, (n // 2) // 100) AS k, (n // 2) / greatest(1, (n // 2) // 100) AS built, 0.0::DOUBLE AS growth, '' AS action, 0::BIGINT AS written FROM c
-UNION ALL SELECT epoch + 1, r.n + st, CASE WHEN {rebuild} THEN greatest(1, (r.n + st) // 100) ELSE r.k END,
-  CASE WHEN {rebuild} THEN (r.n + st) / greatest(1, (r.n + st) // 100) ELSE built END, (r.n + st) / r.k / built - 1,
-  CASE WHEN {rebuild} THEN 'rebuild' ELSE 'flush' END, CASE WHEN {rebuild} THEN r.n + st + greatest(1, (r.n + st) // 100) ELSE st END FROM r, c WHERE epoch < 12)
+UNION ALL SELECT epoch + 1, m, CASE WHEN {rebuild} THEN greatest(1, m // 100) ELSE r.k END,
+  CASE WHEN {rebuild} THEN m / greatest(1, m // 100) ELSE built END, m / r.k / built - 1,
+  CASE WHEN {rebuild} THEN 'rebuild' ELSE 'flush' END, {written} FROM (SELECT r.*, least(c.n, r.n + st) AS m FROM r, c) r WHERE epoch < {epochs})
 SELECT epoch, n, round(n / k, 6) AS average, round(growth, 6) AS growth, action, written AS rows_written FROM r WHERE epoch > 0"""
 
 
-SQL["growth_epochs"], SQL["growth_epochs_rebuild_always"] = _growth_sql(False), _growth_sql(True)
+SQL["growth_epochs"], SQL["growth_epochs_rebuild_always"] = _growth_sql(False, GROWTH_EPOCHS), _growth_sql(True, OTHER_EPOCHS)
+SQL["growth_never_flush"] = f"SELECT i::BIGINT AS epoch, n // 2 AS n, i * floor(n * {GROWTH_SHARE})::BIGINT AS n_delta, 'none' AS action, 0::BIGINT AS rows_written FROM (SELECT count(*) AS n FROM orders), (SELECT unnest(range(1, {OTHER_EPOCHS + 1})) AS i)"
 
 
 @query
 def growth_recall(spark, sf_dir):
-    """Growth on real versions: half of the vectors, then more by id; recall with probes re-scaled to a
-    constant number of scanned rows."""
-    v = collections.v1(spark, sf_dir)
-    n = v.count()
-    index = private_index(spark, sf_dir, CONFIG, v.where(F.col("vec_id") < n // 2))
-    queries = v.where(F.col("vec_id") < 16).select(F.col("vec_id").alias("qid"), F.col("embedding").alias("qvec"))
-    rows, step = [], n // 10
-    for epoch in range(1, 4):
-        lo = n // 2 + (epoch - 1) * step
-        new = v.where((F.col("vec_id") >= lo) & (F.col("vec_id") < lo + step)).withColumn("asset_id", F.col("vec_id"))
-        index, act = updates.maintain(updates.upsert(index, new), 0.5)
-        probes = search.rescale_probes(PROBES, index.manifest["avg_at_build"], updates.monitor(index).average)
-        curve = search.recall_curve(index, queries, K).where(F.col("n") == probes).first()
-        rows.append((epoch, act, probes, curve.recall))
-    return rounded(spark.createDataFrame(rows, "epoch long, action string, n_probe long, recall double"), "recall")
+    """Recall, probes, I/O and latencies by epoch, for the monitor's policy and the two it is compared with."""
+    out = None
+    for policy, epochs in (("auto", GROWTH_EPOCHS), ("rebuild_always", OTHER_EPOCHS), ("never", OTHER_EPOCHS)):
+        one = grown(spark, sf_dir, policy, epochs).select(F.lit(policy).alias("policy"), "epoch", "action", "n_probe", "recall", "rows_read", "rows_written", "bytes", "before_ms", "after_ms")
+        out = one if out is None else out.unionByName(one)
+    return rounded(out, "recall")
 
 
 @query
@@ -389,12 +466,12 @@ def stream_queries(spark, sf_dir):
     n = v.count()
     clicks = _stream(spark, sf_dir, 2).where("event_type = 'click'").select(F.col("event_id").alias("qid"), (F.col("event_id") % n).alias("copied"))
     asked = clicks.join(v.select(F.col("vec_id").alias("copied"), F.col("embedding").alias("qvec")), "copied")
-    target = scratch_path(spark, "answers")
+    target, probes = scratch_path(spark, "answers"), calibrated(spark, sf_dir)
 
     def answer(df: DataFrame, number: int) -> None:
         kept = df.select("qid", "qvec").persist()
         if not kept.isEmpty():
-            search.ann_batch(index, kept, 2, PROBES).write.mode("append").parquet(target)
+            search.ann_batch(index, kept, 2, probes).write.mode("append").parquet(target)
         kept.unpersist()
 
     asked.writeStream.foreachBatch(answer).option("checkpointLocation", scratch_path(spark, "offsets")).trigger(availableNow=True).start().awaitTermination()
@@ -404,7 +481,7 @@ def stream_queries(spark, sf_dir):
 SQL["stream_queries"] = (
     O.index()
     + f""", n AS (SELECT count(*) AS n FROM x),
-pr AS MATERIALIZED (SELECT vec_id AS src, e AS qe, part_id FROM x, cen QUALIFY row_number() OVER (PARTITION BY vec_id ORDER BY {O.l2('c', 'e')}, part_id) <= {PROBES}),
+pr AS MATERIALIZED (SELECT vec_id AS src, e AS qe, part_id FROM x, cen QUALIFY row_number() OVER (PARTITION BY vec_id ORDER BY {O.l2('c', 'e')}, part_id) <= {O.N}),
 nb AS MATERIALIZED (SELECT src, vec_id, {O.l2('e', 'qe')} AS d, row_number() OVER (PARTITION BY src ORDER BY {O.l2('e', 'qe')}, vec_id) AS rank FROM pr JOIN p USING (part_id) QUALIFY rank <= 2)
 SELECT event_id AS qid, rank::INT AS rank, vec_id, round(d, 6) AS dist FROM events, n JOIN nb ON src = event_id % n WHERE event_type = 'click'"""
 )

@@ -19,9 +19,14 @@ from pyspark.sql import functions as F
 
 from ivfspark.config import FIXED_POINT, IndexConfig
 from ivfspark.functions.vectors import matrix, pairwise, pairwise_fast
+from ivfspark.plans.sharing import share
 
 #: Samples above this many bytes are clustered by executors and not on the driver.
 LOCAL_BYTES = 64 << 20
+#: Distances held at once by a kernel.
+TILE = 1 << 22
+#: Candidates drawn for a batch, over its size: the least md5 values lie below this many times their expected bound.
+SPARE_SAMPLES = 4
 
 
 @dataclass
@@ -61,22 +66,34 @@ def seeds(vectors: DataFrame, k: int, seed: int) -> DataFrame:
     return chosen.withColumn("part_id", (F.row_number().over(W.orderBy("_key", "vec_id")) - 1).cast("long")).select("part_id", "vec_id", "embedding")
 
 
-def minibatches(vectors: DataFrame, batch: int, iters: int, seed: int, sampling: str = "exact_md5") -> DataFrame:
+def minibatches(vectors: DataFrame, batch: int, iters: int, seed: int, sampling: str = "exact_md5", n_rows: int | None = None) -> DataFrame:
     """``(iter, vec_id, embedding)`` for all iterations from one scan.
 
-    exact_md5 keeps the ``batch`` least md5 values of each iteration (a group limit in every task before
-    anything is shuffled); one_pass tests each row's hash against the sampling rate.
+    exact_md5 keeps the ``batch`` least md5 values of each iteration: keys above a bound that far more than
+    ``batch`` rows are expected below are dropped in the scan, before vectors are copied, and a group limit in
+    every task cuts the rest. Batches of most rows are cut without a bound. one_pass tests each row's hash against the
+    sampling rate; fraction is one_pass with ``batch`` in millionths of the rows.
     """
+    if sampling not in ("exact_md5", "one_pass", "fraction"):
+        raise ValueError(f"unknown sampling {sampling}")
+    n_rows = vectors.count() if n_rows is None else n_rows
     spread = vectors.select("vec_id", "embedding", F.explode(F.sequence(F.lit(1), F.lit(iters))).alias("iter"))
-    keyed = spread.withColumn("_key", md5_order(seed, "batch", "iter", "vec_id"))
-    if sampling == "one_pass":
-        rate = batch / max(1, vectors.count())
-        drawn = F.conv(F.substring("_key", 1, 8), 16, 10).cast("long") < F.lit(int(rate * (1 << 32)))
-        return keyed.where(drawn).select("iter", "vec_id", "embedding", "_key")
+    number = F.conv(F.substring("_key", 1, 8), 16, 10).cast("long")
+    keys = spread.withColumn("_key", md5_order(seed, "batch", "iter", "vec_id"))
     if sampling != "exact_md5":
-        raise ValueError(f"unknown sampling {sampling}")
+        rate = batch / 1e6 if sampling == "fraction" else batch / max(1, n_rows)
+        return keys.where(number < F.lit(int(rate * (1 << 32)))).select("iter", "vec_id", "embedding", "_key")
     place = F.row_number().over(W.partitionBy("iter").orderBy("_key", "vec_id"))
-    return keyed.withColumn("_place", place).where(F.col("_place") <= batch).select("iter", "vec_id", "embedding", "_key")
+
+    def drawn(rows: DataFrame) -> DataFrame:
+        return rows.withColumn("_place", place).where(F.col("_place") <= batch).select("iter", "vec_id", "embedding", "_key")
+
+    bound = (SPARE_SAMPLES * batch + 256) / max(1, n_rows)
+    if bound >= 1:
+        return drawn(keys)
+    kept = keys.where(number < F.lit(int(bound * (1 << 32))))
+    short = kept.groupBy("iter").count().where(F.col("count") >= min(batch, n_rows)).count() < iters  # about never
+    return drawn(keys if short else kept)
 
 
 def penalised(dist: np.ndarray, counts: np.ndarray, cfg: IndexConfig) -> np.ndarray:
@@ -139,42 +156,70 @@ def _sums(batch: np.ndarray, labels: np.ndarray, k: int) -> tuple[np.ndarray, np
     return sums, np.bincount(labels, minlength=k)
 
 
+def summed(partial: DataFrame, width: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """``partial(part_id, m, s)`` added by partition on executors: ids, counts and sums, one row a partition."""
+
+    def reduce(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total: dict[int, list] = {}
+        for batch in batches:
+            rows = matrix_of_longs(batch.column(2), width)
+            for p, m, row in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), rows, strict=True):
+                if p in total:
+                    total[p][0] += m
+                    total[p][1] += row
+                else:
+                    total[p] = [m, row.copy()]
+        flat = np.concatenate([x[1] for x in total.values()]) if total else np.zeros(0, np.int64)
+        lists = pa.ListArray.from_arrays(pa.array(np.arange(len(total) + 1, dtype=np.int32) * width), pa.array(flat, pa.int64()))
+        yield pa.RecordBatch.from_arrays([pa.array(list(total), pa.int64()), pa.array([x[0] for x in total.values()], pa.int64()), lists], ["part_id", "m", "s"])
+
+    schema = "part_id long, m long, s array<long>"
+    rows = partial.repartition("part_id").mapInArrow(reduce, schema).toArrow()  # k rows, as arrays
+    return rows["part_id"].to_numpy(), rows["m"].to_numpy(), matrix_of_longs(rows["s"], width)
+
+
+def matrix_of_longs(column: pa.Array | pa.ChunkedArray, width: int) -> np.ndarray:
+    column = column.combine_chunks() if isinstance(column, pa.ChunkedArray) else column
+    return column.flatten().to_numpy(zero_copy_only=False).reshape(-1, width)
+
+
 def _distributed_step(rows: DataFrame, centers: np.ndarray, counts: np.ndarray, cfg: IndexConfig) -> tuple[np.ndarray, np.ndarray]:
     """Sums and counts of one batch, reduced on executors: at most k rows a task reach the shuffle."""
-    shared = rows.sparkSession.sparkContext.broadcast((centers, counts))
+    shared = share(rows.sparkSession, (centers, counts), "centres")
+    width = centers.shape[1]
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         c, v = shared.value
         sums, received = np.zeros(c.shape, np.int64), np.zeros(len(c), np.int64)
         for batch in batches:
             x = matrix(batch.column(0))
-            if len(x):
-                s, r = _sums(x, assign_balanced(x, c, v, cfg), len(c))
-                sums, received = sums + s, received + r
+            for at in range(0, len(x), max(1, TILE // len(c))):
+                part = x[at : at + max(1, TILE // len(c))]
+                s, r = _sums(part, assign_balanced(part, c, v, cfg), len(c))
+                sums += s
+                received += r
         hit = np.flatnonzero(received)
-        yield pa.RecordBatch.from_arrays([pa.array(hit), pa.array(received[hit]), pa.array(sums[hit].tolist(), pa.list_(pa.int64()))], ["part_id", "m", "s"])
+        lists = pa.ListArray.from_arrays(pa.array(np.arange(len(hit) + 1, dtype=np.int32) * width), pa.array(sums[hit].ravel(), pa.int64()))
+        yield pa.RecordBatch.from_arrays([pa.array(hit), pa.array(received[hit]), lists], ["part_id", "m", "s"])
 
-    partial = rows.select("embedding").mapInArrow(kernel, "part_id long, m long, s array<long>")
-    each = partial.select("part_id", "m", F.posexplode("s").alias("dim", "value"))
-    total = each.groupBy("part_id", "dim").agg(F.sum("value").alias("value"), F.sum("m").alias("m"))
+    ids, m, s = summed(rows.select("embedding").mapInArrow(kernel, "part_id long, m long, s array<long>"), width)
     sums, received = np.zeros(centers.shape, np.int64), np.zeros(len(centers), np.int64)
-    for r in total.collect():  # k * d numbers
-        sums[r.part_id, r.dim] = r.value
-        received[r.part_id] = r.m
+    sums[ids], received[ids] = s, m
     shared.destroy()
     return sums, received
 
 
 def train(vectors: DataFrame, cfg: IndexConfig, k: int | None = None, exec_mode: str = "auto") -> Centroids:
     """The training loop; ``exec_mode`` local (samples on the driver), distributed, or auto by size."""
+    n_rows = vectors.count()
     if k is None:
-        k = partition_count(vectors.count(), cfg.target_size)
+        k = partition_count(n_rows, cfg.target_size)
     first = seeds(vectors, k, cfg.seed).orderBy("part_id").collect()
     if not first:
         raise ValueError("no vectors to train on")
     centers = np.array([r.embedding for r in first], np.float64)
     counts = np.zeros(len(centers), np.int64)
-    sample = minibatches(vectors, cfg.batch, cfg.iters, cfg.seed, cfg.sampling)
+    sample = minibatches(vectors, cfg.batch, cfg.iters, cfg.seed, cfg.sampling, n_rows)
     if exec_mode == "auto":
         exec_mode = "local" if cfg.batch * cfg.iters * centers.shape[1] * 8 <= LOCAL_BYTES else "distributed"
     history = []
@@ -221,25 +266,37 @@ def train_full_kmeans(vectors: DataFrame, cfg: IndexConfig, k: int | None = None
     return Centroids(centers, counts, cfg.metric)
 
 
-def assign_all(vectors: DataFrame, centroids: Centroids, id_cols: tuple[str, ...] = ("vec_id",), balanced: IndexConfig | None = None) -> DataFrame:
-    """Nearest centre of every vector: centres are broadcast (k * d numbers), vectors are not moved.
+def assign_all(
+    vectors: DataFrame,
+    centroids: Centroids,
+    id_cols: tuple[str, ...] = ("vec_id",),
+    balanced: IndexConfig | None = None,
+    supers: tuple[np.ndarray, np.ndarray] | None = None,
+) -> DataFrame:
+    """Nearest centre of every vector: centres are broadcast (k * d numbers, checked), vectors are not moved.
 
     A matrix product proposes, and centres within a rounding error of the best are compared again in
-    exact order; ties go to the smaller part_id. ``balanced`` scores with the size penalty instead.
+    exact order; ties go to the smaller part_id. ``balanced`` scores with the size penalty instead. With
+    ``supers`` (super centres, and each centre's) a vector is compared with the centres below its nearest super centres only.
     """
-    shared = vectors.sparkSession.sparkContext.broadcast((centroids.centers, centroids.counts))
+    shared = share(vectors.sparkSession, (centroids.centers, centroids.counts, supers), "centres")
     metric = centroids.metric
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        centers, counts = shared.value
+        centers, counts, tops = shared.value
+        below = members_below(tops[1], len(tops[0])) if tops else None
         for batch in batches:
             x = matrix(batch.column(batch.num_columns - 1))
-            labels = np.zeros(0, np.int64)
-            if len(x):
+            labels = np.zeros(len(x), np.int64)
+            step = max(1, TILE // len(centers if below is None else tops[0]))
+            for at in range(0, len(x), step):
+                part = x[at : at + step]
                 if balanced is not None:
-                    labels = assign_balanced(x, centers, counts, balanced)
+                    labels[at : at + step] = assign_balanced(part, centers, counts, balanced)
+                elif below is None:
+                    labels[at : at + step] = nearest(part, centers, metric)
                 else:
-                    labels = nearest(x, centers, metric)
+                    labels[at : at + step] = nearest_below(part, centers, tops[0], below, metric)
             yield pa.RecordBatch.from_arrays([*batch.columns[:-1], pa.array(labels, pa.int64()), batch.column(batch.num_columns - 1)], [*batch.schema.names[:-1], "part_id", "embedding"])
 
     types = {f.name: f.dataType.simpleString() for f in vectors.schema}
@@ -247,6 +304,38 @@ def assign_all(vectors: DataFrame, centroids: Centroids, id_cols: tuple[str, ...
     return vectors.select(*id_cols, "embedding").mapInArrow(kernel, f"{fields}, part_id long, embedding {types['embedding']}")
 
 
+def members_below(labels: np.ndarray, n: int) -> list[np.ndarray]:
+    """Ids of the centres below each of ``n`` super centres."""
+    order = np.argsort(labels, kind="stable")
+    return np.split(order, np.searchsorted(labels[order], np.arange(1, n)))
+
+
+def nearest_supers(x: np.ndarray, tops: np.ndarray, metric: str, supers: int) -> np.ndarray:
+    dist = pairwise_fast(x, tops, metric)
+    supers = min(supers, len(tops))
+    return np.argpartition(dist, supers - 1, axis=1)[:, :supers]
+
+
+#: Super centres below which a vector looks for its centre.
+ASSIGN_SUPERS = 8
+
+
+def nearest_below(x: np.ndarray, centers: np.ndarray, tops: np.ndarray, below: list[np.ndarray], metric: str) -> np.ndarray:
+    """Nearest centre among those below each row's nearest super centres; rows of one choice share a product."""
+    chosen = np.sort(nearest_supers(x, tops, metric, ASSIGN_SUPERS), axis=1)
+    best, labels = np.full(len(x), np.inf), np.zeros(len(x), np.int64)
+    for top in np.unique(chosen):
+        rows = np.flatnonzero((chosen == top).any(axis=1))
+        if not len(below[top]):
+            continue
+        dist = pairwise_fast(x[rows], centers[below[top]], metric)
+        at = dist.argmin(axis=1)
+        least = dist[np.arange(len(rows)), at]
+        nearer = least < best[rows]
+        best[rows[nearer]], labels[rows[nearer]] = least[nearer], below[top][at[nearer]]
+    return labels
+
+
 def nearest(x: np.ndarray, centers: np.ndarray, metric: str) -> np.ndarray:
     rough = pairwise_fast(x, centers, metric)
     best = rough.min(axis=1, keepdims=True)

@@ -1,18 +1,23 @@
 """Searches with attribute predicates: filter first, filter inside the scan, filter last, or chosen.
 
-Attributes are a table keyed by asset_id. Predicates are evaluated on attributes alone, so they reach the
+Attributes are a table keyed by asset_id, or those stored with the index (``Index.attributes``), which have a part_id
+and are read for the probed partitions only. Predicates are evaluated on attributes alone, so they reach the
 attribute scan; vectors without an attribute row do not qualify.
 """
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ivfspark.functions.vectors import distance, literal, matrix, paired
-from ivfspark.operators.search import QUERY_BLOCK, RESULT, _ranked, ann, probe, top_k_per_query
+from ivfspark.config import DELTA_ID
+from ivfspark.functions.vectors import distance, literal, matrix
+from ivfspark.operators.search import RESULT, _parts_for, _ranked, _united, ann, asked_by, nearest_in, probes_for, query_blocks, top_k_per_query
+from ivfspark.plans.sharing import share
 from ivfspark.plans.planner import Plan, choose
 from ivfspark.plans.predicates import Predicate
 from ivfspark.plans.statistics import Statistics
@@ -51,59 +56,104 @@ def postfilter(
     """
     own = index.centroids()
     if not fused:
-        first = ann(index, query, k * overfetch, n)
-        named = first.join(index.live(probe(own, query, n)).select("vec_id", "asset_id"), "vec_id")
+        parts = _parts_for(index, query, n)
+        first = ann(index, query, k * overfetch, n, parts=parts)
+        named = first.join(index.live(parts).select("vec_id", "asset_id"), "vec_id")
         return _ranked(named.join(qualifying(attributes, predicate), "asset_id", "left_semi").select("vec_id", "dist"), k)
     while True:
-        rows = index.live(probe(own, query, n)).join(qualifying(attributes, predicate), "asset_id", "left_semi")
+        rows = _joined(index, attributes, _parts_for(index, query, n), predicate.to_column(), None)
         found = _ranked(rows.select("vec_id", distance(F.col("embedding"), literal(query), index.metric).alias("dist")), k)
         if not widen or n >= own.k or found.count() >= k:
             return found
         n = min(own.k, 2 * n)
 
 
+def _joined(index: Index, attributes: DataFrame, parts: list[int], qualifies: Column, flags: Column | None) -> DataFrame:
+    """Visible rows of the partitions and the delta whose attributes qualify, with the flags ``ok`` if asked.
+
+    Attributes that know their partition are read for these partitions; the delta's assets may be anywhere.
+    """
+    columns = ["asset_id"] if flags is None else ["asset_id", flags.alias("ok")]
+    clustered = "part_id" in attributes.columns
+    near = attributes.where(F.col("part_id").isin(parts)) if clustered else attributes
+
+    def join(rows: DataFrame, own: DataFrame) -> DataFrame:
+        chosen = own.where(qualifies).select(*columns)
+        if flags is None:
+            return rows.join(chosen, "asset_id", "left_semi")
+        return rows.join(chosen.dropDuplicates(["asset_id"]) if clustered else chosen, "asset_id")
+
+    found = join(index.live_main(parts), near)
+    return found.unionByName(join(index.live_delta(), attributes)) if index.manifest.get("delta") else found
+
+
 def hybrid(
     index: Index, attributes: DataFrame, stats: Statistics, query, k: int, n: int, predicate: Predicate, threshold: float | None = None
 ) -> tuple[DataFrame, Plan]:
-    """The chosen plan's result, and the plan."""
-    plan = choose(predicate, stats, n, index.config.target_size, threshold)
+    """The chosen plan's result, and the plan; partitions count with their present size, the delta is always read."""
+    plan = choose(predicate, stats, n, index.average, threshold, index.manifest["n_delta"])
     if plan.kind == "pre":
         return prefilter(index, attributes, query, k, predicate, plan.f_filters * stats.n), plan
     return postfilter(index, attributes, query, k, n, predicate), plan
 
 
 def hybrid_batch(index: Index, attributes: DataFrame, queries: DataFrame, k: int, n: int, predicates: dict[int, Predicate]) -> DataFrame:
-    """A batch with a predicate a query (qid to predicate), sharing partition scans.
+    """A batch of any size with a predicate a query (qid to predicate), sharing partition scans: post-filter for all.
 
-    Queries with equal predicates share one flag column, computed in the attribute scan.
+    Queries with equal predicates share one flag column, computed in the attribute scan, and one matrix product a
+    partition and record batch.
     """
-    asked = queries.select("qid", "qvec").limit(QUERY_BLOCK + 1).collect()
-    if len(asked) > QUERY_BLOCK:
-        raise ValueError(f"more than {QUERY_BLOCK} queries in a batch")
+    return _united(_hybrid_block(index, attributes, rows, k, n, predicates) for rows in query_blocks(queries))
+
+
+def prefilter_batch(index: Index, attributes: DataFrame, queries: DataFrame, k: int, predicates: dict[int, Predicate]) -> DataFrame:
+    """A batch of exact searches under predicates: every partition is read."""
+    return hybrid_batch(index, attributes, queries, k, index.manifest["k"], predicates)
+
+
+def hybrid_each(
+    index: Index, attributes: DataFrame, stats: Statistics, queries: DataFrame, k: int, n: int, predicates: dict[int, Predicate]
+) -> tuple[DataFrame, dict[int, Plan]]:
+    """A batch in which every query goes the way that the planner chooses for it, and the plans."""
+    plans = {q: choose(p, stats, n, index.average, None, index.manifest["n_delta"]) for q, p in predicates.items()}
+    first = [q for q, plan in plans.items() if plan.kind == "pre"]
+    asked = lambda wanted: queries.where(F.col("qid").isin(first) if wanted else ~F.col("qid").isin(first))
+    pre = prefilter_batch(index, attributes, asked(True), k, predicates)
+    return pre.unionByName(hybrid_batch(index, attributes, asked(False), k, n, predicates)), plans
+
+
+def _hybrid_block(index: Index, attributes: DataFrame, asked: list, k: int, n: int, predicates: dict[int, Predicate]) -> DataFrame:
+    if not asked:
+        return index.spark.createDataFrame([], "qid long, rank int, vec_id long, dist double")
     distinct = list(dict.fromkeys(predicates[r.qid] for r in asked))
-    own = index.centroids()
-    plan = [(r.qid, np.array(r.qvec, np.float64), distinct.index(predicates[r.qid]), set(probe(own, r.qvec, n))) for r in asked]
-    parts = sorted({p for *_, ps in plan for p in ps})
-    flags = attributes.select("asset_id", F.array(*[p.to_column() for p in distinct]).alias("ok")).where(F.exists("ok", lambda x: x))
-    rows = index.live(parts).join(flags, "asset_id").select("part_id", "vec_id", "embedding", "ok")
-    shared = queries.sparkSession.sparkContext.broadcast(plan)
+    numbers = {p: i for i, p in enumerate(distinct)}
+    qids, qmat = np.array([r.qid for r in asked], np.int64), np.array([r.qvec for r in asked], np.float64)
+    kinds = np.array([numbers[predicates[r.qid]] for r in asked], np.int64)
+    probes = probes_for(index, qmat, n)
+    flags = F.array(*[F.coalesce(p.to_column(), F.lit(False)) for p in distinct])
+    rows = _joined(index, attributes, [int(p) for p in np.unique(probes) if p >= 0], F.exists(flags, lambda x: x), flags)
+    shared = share(index.spark, (qids, qmat, kinds, asked_by(probes)), "query block")
     metric = index.metric
 
-    def kernel(batches):
+    def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        ids, q, kind, parts = shared.value
         for batch in batches:
             if not batch.num_rows:
                 continue
             part, vec, x = batch.column(0).to_numpy(), batch.column(1).to_numpy(), matrix(batch.column(2))
             ok = matrix(batch.column(3).cast(pa.list_(pa.int8()))) > 0
-            for qid, q, number, probed in shared.value:
-                mine = np.flatnonzero(ok[:, number] & (np.isin(part, list(probed)) | (part < 0)))
-                if not len(mine):
-                    continue
-                dist = paired(x[mine], np.broadcast_to(q, (len(mine), len(q))), metric)
-                top = np.lexsort((vec[mine], dist))[:k]
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(top), qid)), pa.array(vec[mine[top]]), pa.array(dist[top])], ["qid", "vec_id", "dist"])
-
-    return top_k_per_query(rows.mapInArrow(kernel, RESULT), k)
+            out = []
+            for p in np.unique(part):
+                places = np.arange(len(ids)) if p == DELTA_ID else parts.get(int(p), np.empty(0, np.int64))
+                for number in np.unique(kind[places]):
+                    mine, mates = np.flatnonzero((part == p) & ok[:, number]), places[kind[places] == number]
+                    if len(mine):
+                        out.append(nearest_in(vec[mine], x[mine], ids[mates], q[mates], k, metric))
+            if out:
+                columns = [np.concatenate(c) for c in zip(*out, strict=True)]
+                yield pa.RecordBatch.from_arrays([pa.array(c) for c in columns], ["qid", "vec_id", "dist"])
+
+    return top_k_per_query(rows.select("part_id", "vec_id", "embedding", "ok").mapInArrow(kernel, RESULT), k)
 
 
 def postings(attributes: DataFrame, column: str = "tokens") -> DataFrame:

@@ -4,25 +4,18 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ivfspark.config import DELTA_ID, FIXED_POINT
-from ivfspark.operators.clustering import Centroids, assign_all
+from ivfspark.functions.vectors import matrix
+from ivfspark.operators.clustering import Centroids, assign_all, fixed_point, summed
+from ivfspark.operators.search import probing_supers
+from ivfspark.plans.metering import IoCounter, metered
 from ivfspark.sources import snapshots
-from ivfspark.sources.index import Index, build, table_name, write_centroids, write_vectors
-
-
-@dataclass
-class IoCounter:
-    """Rows read and written by maintenance."""
-
-    rows_read: int = 0
-    rows_written: int = 0
-
-    def add(self, read: int = 0, written: int = 0) -> None:
-        self.rows_read += read
-        self.rows_written += written
+from ivfspark.sources.index import Index, attach_attributes, build, table_name, write_centroids, write_vectors
 
 
 def latest_per_asset(changes: DataFrame) -> DataFrame:
@@ -90,62 +83,78 @@ def delete(index: Index, ids: DataFrame, seq: int | None = None) -> Index:
     )
 
 
-def drifted(centroids: Centroids, flushed: DataFrame) -> tuple[Centroids, int]:
-    """Centres after ``flushed(part_id, embedding)`` joined them: running means by member counts."""
-    each = flushed.select("part_id", F.posexplode("embedding").alias("dim", "x"))
-    total = each.groupBy("part_id", "dim").agg(F.sum(F.floor(F.col("x").cast("double") * FIXED_POINT + 0.5)).alias("s"), F.count("*").alias("m"))
-    centers, members = centroids.centers.copy(), centroids.members.copy()
-    received: dict[int, int] = {}
-    for r in total.collect():  # touched partitions times dimensions
-        received[r.part_id] = r.m
-        own = centroids.members[r.part_id]
-        centers[r.part_id, r.dim] = (own * centroids.centers[r.part_id, r.dim] + r.s / FIXED_POINT) / (own + r.m)
-    for p, m in received.items():
-        members[p] += m
-    return Centroids(centers, centroids.counts, centroids.metric, members), len(received)
+def drifted(centroids: Centroids, live: np.ndarray, flushed: DataFrame) -> tuple[Centroids, int]:
+    """Centres after ``flushed(part_id, embedding)`` joined them: running means, weighted by ``live``, the members of each
+    partition that are still visible. Sums are reduced on executors, one row a partition."""
+    width = centroids.centers.shape[1]
+
+    def kernel(batches):
+        for batch in batches:
+            parts, x = batch.column(0).to_numpy(), fixed_point(matrix(batch.column(1)))
+            hit, place = np.unique(parts, return_inverse=True)
+            sums = np.zeros((len(hit), width), np.int64)
+            if len(hit):
+                np.add.at(sums, place, x)
+            lists = pa.ListArray.from_arrays(pa.array(np.arange(len(hit) + 1, dtype=np.int32) * width), pa.array(sums.ravel(), pa.int64()))
+            yield pa.RecordBatch.from_arrays([pa.array(hit), pa.array(np.bincount(place, minlength=len(hit)).astype(np.int64)), lists], ["part_id", "m", "s"])
+
+    ids, m, sums = summed(flushed.select("part_id", "embedding").mapInArrow(kernel, "part_id long, m long, s array<long>"), width)
+    centers, members = centroids.centers.copy(), live.copy()
+    members[ids] += m
+    centers[ids] = (live[ids, None] * centroids.centers[ids] + sums / FIXED_POINT) / (live[ids] + m)[:, None]
+    return Centroids(centers, centroids.counts, centroids.metric, members), len(ids)
+
+
+def live_members(index: Index) -> np.ndarray:
+    """Visible main rows of every partition; ids and sequence numbers are read, vectors are not."""
+    out = np.zeros(index.manifest["k"], np.int64)
+    for r in index.live_main().groupBy("part_id").agg(F.count("*").alias("n")).collect():  # k rows
+        out[r.part_id] = r.n
+    return out
 
 
 def flush(index: Index, io: IoCounter | None = None) -> Index:
     """Move live delta rows to the partitions of their nearest centres; main files are not rewritten.
 
-    Deleted and replaced main rows stay hidden by the entries that replaced them, until a rebuild.
+    Deleted and replaced main rows stay hidden by the entries that replaced them, until a rebuild, and no longer
+    count as members. ``io`` takes what the jobs read and wrote.
     """
-    rows = index.live_delta()
-    n = rows.count()
-    if not n:
-        return index
-    centroids = index.centroids()
-    placed = assign_all(rows, centroids, ("asset_id", "vec_id", "seq")).persist()
-    try:
-        name = write_vectors(index.store, placed, n, "main")
-        new, touched = drifted(centroids, placed)
-        marks = table_name("tombstones")
-        # older copies of flushed assets are hidden by a mark just below the flushed rows' seq
-        placed.select("asset_id", "seq").write.parquet(f"{index.store.path}/{marks}")
-    finally:
-        placed.unpersist()
-    labels = index._supers if index.manifest["supers"] else None
-    if io:
-        io.add(read=n + centroids.k, written=n + touched)
-    return _published(
-        index,
-        main=[*index.manifest["main"], name],
-        delta=[],
-        n_delta=0,
-        n_main=index.manifest["n_main"] + n,
-        tombstones=[*index.manifest["tombstones"], marks],
-        centroids=[write_centroids(index.store, new, labels)],
-    )
+    with metered(index.spark, io):
+        rows = index.live_delta()
+        n = rows.count()
+        if not n and not index.manifest["tombstones"]:
+            return index
+        live = live_members(index)
+        centroids = index.centroids()
+        manifest = {"delta": [], "n_delta": 0, "n_main": int(live.sum()) + n}
+        if not n:
+            return index if manifest["n_main"] == index.manifest["n_main"] and not index.manifest["delta"] else _published(index, **manifest)
+        placed = assign_all(rows, centroids, ("asset_id", "vec_id", "seq"), supers=probing_supers(index)).persist()
+        try:
+            name = write_vectors(index.store, placed, n, "main")
+            new, _ = drifted(centroids, live, placed)
+            marks = table_name("tombstones")
+            # older copies of flushed assets are hidden by a mark just below the flushed rows' seq
+            placed.select("asset_id", "seq").write.parquet(f"{index.store.path}/{marks}")
+            if index.manifest.get("attributes"):
+                moved = index.attributes().drop("part_id").join(placed.select("asset_id"), "asset_id", "left_semi").dropDuplicates(["asset_id"])
+                manifest["attributes"] = [*index.manifest["attributes"], attach_attributes(index, moved, placed)]
+        finally:
+            placed.unpersist()
+        labels = index._supers if index.manifest["supers"] else None
+        lists = {"main": [*index.manifest["main"], name], "tombstones": [*index.manifest["tombstones"], marks], "centroids": [write_centroids(index.store, new, labels)]}
+        return _published(index, **manifest, **lists)
 
 
 def rebuild(index: Index, io: IoCounter | None = None) -> Index:
     """Retrain on the live rows and reassign them all; deleted and replaced rows are gone afterwards."""
-    rows = index.live().select("asset_id", "vec_id", "seq", "embedding")
-    new = build(index.spark, index.store.path, rows, index.config, two_level=index.manifest.get("two_level", 0), parent=index.manifest)
-    if io:
-        cfg, n = index.config, new.manifest["n_main"]
-        io.add(read=2 * n + min(n, cfg.batch) * cfg.iters, written=n + new.manifest["k"])
-    return new
+    with metered(index.spark, io):
+        rows = index.live().select("asset_id", "vec_id", "seq", "embedding")
+        new = build(index.spark, index.store.path, rows, index.config, two_level=index.manifest.get("two_level", 0), parent=index.manifest)
+        if not index.manifest.get("attributes"):
+            return new
+        own = {c: index.manifest[c] for c in ("attribute_schema", "statistics")}
+        return _published(new, **own, attributes=[attach_attributes(new, index.attributes().dropDuplicates(["asset_id"]))])
 
 
 @dataclass(frozen=True)
@@ -156,6 +165,7 @@ class Health:
 
 
 def monitor(index: Index) -> Health:
+    """Growth of the average partition since the last build, in rows that were visible at the last flush."""
     m = index.manifest
     average = m["n_main"] / m["k"]
     return Health(average, average / m["avg_at_build"] - 1, m["n_delta"] / max(1, m["n_main"] + m["n_delta"]))

@@ -25,6 +25,12 @@ def distance(a: str, b: str, metric: str = "l2") -> str:
 
 V1 = "SELECT vec_id, embedding::DOUBLE[] AS e FROM embeddings"
 V2 = "SELECT vec_id, list_transform(embedding, lambda x: (x * (1 + vec_id % 7)::FLOAT)::FLOAT)::DOUBLE[] AS e FROM embeddings"
+V3 = (
+    "SELECT vec_id, list_transform(list_transform(range(256), lambda i: coalesce(c[i], 0)), lambda y: (y / sqrt(nn))::FLOAT)::DOUBLE[] AS e FROM ("
+    "SELECT vec_id, map(list(b), list(n)) AS c, sum(n * n)::DOUBLE AS nn FROM (SELECT doc_id AS vec_id, ('0x' || substr(md5(t), 1, 8))::BIGINT % 256 AS b, count(*)::DOUBLE AS n FROM ("
+    "SELECT doc_id, unnest(list_filter(list_transform(regexp_split_to_array(coalesce(text, ''), '[^A-Za-z0-9À-ÿ]+'), lambda t: lower(t)), lambda t: t <> '')) AS t FROM documents) "
+    "GROUP BY ALL) GROUP BY vec_id)"
+)
 DAYS = "datediff('day', DATE '1995-01-01', {c}::DATE)::DOUBLE"
 V4 = (
     "SELECT o_orderkey AS vec_id, [(o_totalprice / 500000)::FLOAT, ("
@@ -55,9 +61,20 @@ def training(
         f"{x}p AS MATERIALIZED (SELECT vec_id, e, arg_min(part_id, (d, part_id)) AS part_id FROM "
         f"(SELECT {x}x.vec_id, {x}x.e, part_id, {distance(f'{x}x.e', 'c', metric)} AS d FROM {x}x, {x}cen) GROUP BY vec_id, e)"
     )
+    if not x:
+        ctes.append(calibration(metric))
     return ",\n".join(ctes)
 
 
+def calibration(metric: str = "l2", k: int = 10, target: float = 0.9) -> str:
+    """CTE ``np`` (n): the least number of partitions with the target recall, over the queries of id divisible by 50."""
+    return f"""cq AS (SELECT vec_id AS qid, e AS qe FROM x WHERE vec_id % 50 = 0),
+cr AS MATERIALIZED (SELECT qid, part_id, row_number() OVER (PARTITION BY qid ORDER BY {distance('c', 'qe', metric)}, part_id) AS pr FROM cq, cen),
+ct AS MATERIALIZED (SELECT qid, vec_id, part_id FROM cq, p QUALIFY row_number() OVER (PARTITION BY qid ORDER BY {distance('e', 'qe', metric)}, vec_id) <= {k}),
+np AS MATERIALIZED (SELECT min(n) AS n FROM (SELECT n, (SELECT count(*) FROM ct JOIN cr USING (qid, part_id) WHERE pr <= n) / (SELECT count(*) FROM ct) AS recall
+  FROM (SELECT unnest(range(1, (SELECT count(*) + 1 FROM cen))) AS n)) WHERE recall >= {target})"""
+
+
 def step(i: int, batch: int, lam: float, seed: int, metric: str = "l2", x: str = "") -> str:
     """One iteration: batch, penalised choice with frozen counts, running means in closed form."""
     return f"""{x}b{i} AS (SELECT vec_id, e FROM {x}x ORDER BY md5('{seed}:batch:{i}:' || vec_id), vec_id LIMIT {batch}),
@@ -77,9 +94,13 @@ def index(metric: str = "l2", **options) -> str:
     return "WITH " + training(metric=metric, **options)
 
 
-def probes(query: str, n: int, metric: str = "l2", x: str = "") -> str:
-    """Partition ids of the n nearest centres to a query expression (a scalar subquery of a list)."""
-    return f"(SELECT part_id FROM {x}cen ORDER BY {distance('c', query, metric)}, part_id LIMIT {n})"
+#: The calibrated number of probes.
+N = "(SELECT n FROM np)"
+
+
+def probes(query: str, n: int | str = N, metric: str = "l2", x: str = "") -> str:
+    """Partition ids of the n nearest centres to a query expression (a subquery of a list)."""
+    return f"(SELECT part_id FROM {x}cen QUALIFY row_number() OVER (ORDER BY {distance('c', query, metric)}, part_id) <= {n})"
 
 
 def lloyd(source: str, k: str, iters: int, tag: str = "seed", seed: int = 42, metric: str = "l2", x: str = "f") -> str:

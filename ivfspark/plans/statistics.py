@@ -7,14 +7,17 @@ token column has document frequencies. Everything is aggregated on executors; wh
 
 from __future__ import annotations
 
-from dataclasses import dataclass, field
+import json
+from dataclasses import asdict, dataclass, field
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ivfspark.operators.prefix import running_total
 from ivfspark.plans.predicates import And, Leaf, Or, Predicate
-
+from ivfspark.plans.scratch import materialize
+from ivfspark.sources import snapshots
+from ivfspark.sources.index import Index, attach_attributes, table_name
 
 #: Slices of a column's value range whose values are ranked together.
 RANK_SLICES = 256
@@ -38,6 +41,16 @@ class Statistics:
     n: int
     columns: dict[str, ColumnStats]
     tokens: dict[str, DataFrame] = field(default_factory=dict)
+    known: dict[str, dict[str, int]] = field(default_factory=dict)
+
+    def frequencies(self, column: str, words: set[str]) -> dict[str, int]:
+        """Document frequencies of words; those not asked before are looked up together."""
+        known = self.known.setdefault(column, {})
+        new = sorted(words - known.keys())
+        if new:
+            known.update(dict.fromkeys(new, 0))
+            known.update({r.token: r.df for r in self.tokens[column].where(F.col("token").isin(new)).collect()})
+        return known
 
 
 def histogram(attributes: DataFrame, column: str, bins: int = 32) -> DataFrame:
@@ -76,15 +89,44 @@ def analyze(attributes: DataFrame, columns: list[str], tokens: list[str] | None
     n = attributes.count()
     types = dict(attributes.dtypes)
     found = {}
+    counts = attributes.agg(*[f(c).alias(f"{name}_{c}") for c in columns for name, f in (("filled", F.count), ("ndv", F.count_distinct))]).first() if columns else {}
     for c in columns:
-        row = attributes.agg(F.count(c).alias("filled"), F.count_distinct(c).alias("ndv")).first()
         values = {r.value: r.cnt for r in common_values(attributes, c, mcv).collect()}
         numeric = types[c] in ("int", "bigint", "double", "float", "smallint")
         bounds = [(r.lo, r.hi, r.cnt) for r in histogram(attributes, c, bins).orderBy("bin").collect()] if numeric else []
-        found[c] = ColumnStats(n, n - row.filled, row.ndv, values, bounds)
+        found[c] = ColumnStats(n, n - counts[f"filled_{c}"], counts[f"ndv_{c}"], values, bounds)
     return Statistics(n, found, {t: token_frequencies(attributes, t) for t in tokens or []})
 
 
+#: Bytes of a row group of stored token counts: what a look-up of one token reads.
+TOKEN_GROUP_BYTES = 1 << 18
+
+
+def attach(index: Index, attributes: DataFrame, columns: list[str], tokens: list[str] | None = None, bins: int = 32, mcv: int = 64) -> Index:
+    """A version of the index that has ``attributes(asset_id, ...)`` clustered as its vectors are, and their statistics.
+
+    Token counts are written in the order of tokens, so that a look-up reads one row group.
+    """
+    kept = materialize(attributes, "attributes")
+    stats = analyze(kept, columns, tokens, bins, mcv)
+    stored: dict = {"n": stats.n, "columns": {c: asdict(s) for c, s in stats.columns.items()}, "tokens": {}}
+    for column, rows in stats.tokens.items():
+        stored["tokens"][column] = table_name("tokens")
+        placed = rows.repartitionByRange("token").sortWithinPartitions("token")
+        placed.write.option("parquet.block.size", TOKEN_GROUP_BYTES).parquet(f"{index.store.path}/{stored['tokens'][column]}")
+    manifest = {**index.manifest, "parent": index.version, "attributes": [attach_attributes(index, kept)], "attribute_schema": kept.schema.simpleString(), "statistics": json.dumps(stored)}
+    manifest.pop("version")
+    return Index(index.store, snapshots.commit(index.store, manifest))
+
+
+def stored_statistics(index: Index) -> Statistics:
+    """The statistics of this version of the index."""
+    stored = json.loads(index.manifest["statistics"])
+    columns = {c: ColumnStats(**{**s, "bins": [tuple(b) for b in s["bins"]]}) for c, s in stored["columns"].items()}
+    tokens = {c: index.store.table(name, "token string, df long") for c, name in stored["tokens"].items()}
+    return Statistics(stored["n"], columns, tokens)
+
+
 def _below(stats: ColumnStats, a: float, inclusive: bool) -> float:
     """Rows below ``a``: whole bins, and a linear share of the bin that holds it."""
     total = 0.0
@@ -102,8 +144,7 @@ def _text(value) -> str:
 
 def leaf_estimate(leaf: Leaf, stats: Statistics) -> float:
     if leaf.op.endswith("match"):
-        row = stats.tokens[leaf.column].where(F.col("token") == leaf.value).first()
-        df = float(row.df) if row else 0.0
+        df = float(stats.frequencies(leaf.column, {leaf.value})[leaf.value])
         return df if leaf.op == "match" else stats.n - df
     s = stats.columns[leaf.column]
     if leaf.op == "=":
@@ -130,9 +171,17 @@ def leaf_estimate(leaf: Leaf, stats: Statistics) -> float:
     raise ValueError(leaf.op)
 
 
+def leaves(predicate: Predicate) -> list[Leaf]:
+    return [predicate] if isinstance(predicate, Leaf) else [x for p in predicate.parts for x in leaves(p)]
+
+
 def estimate(predicate: Predicate, stats: Statistics, rule: str = "min_sum") -> float:
     """Rows that qualify. min_sum: least part of a conjunction, sum of a disjunction, at most all rows;
     independence: products of shares."""
+    for column in stats.tokens:
+        words = {x.value for x in leaves(predicate) if x.column == column and x.op.endswith("match")}
+        if words:
+            stats.frequencies(column, words)
     if isinstance(predicate, Leaf):
         return leaf_estimate(predicate, stats)
     parts = [estimate(p, stats, rule) for p in predicate.parts]

@@ -21,6 +21,8 @@ from ivfspark.sources.snapshots import Store
 
 #: Rows of a file of the main table, about a few hundred MB at 64 dimensions.
 FILE_ROWS = 1_000_000
+#: Centres beyond which an index of two levels assigns its vectors through the upper one.
+ASSIGN_CENTRES = 4096
 #: Row groups are what a list of partitions prunes, so they are kept small.
 ROW_GROUP_BYTES = 1 << 20
 
@@ -44,6 +46,11 @@ class Index:
     def version(self) -> int:
         return self.manifest["version"]
 
+    @property
+    def average(self) -> float:
+        """Rows of a partition now, by the counts of the last flush."""
+        return self.manifest["n_main"] / max(1, self.manifest["k"])
+
     @property
     def metric(self) -> str:
         return self.manifest["config"]["metric"]
@@ -110,6 +117,14 @@ class Index:
             rows = rows.unionByName(self.live_delta())
         return rows
 
+    def attributes(self, parts: list[int] | None = None) -> DataFrame:
+        """Attribute rows, those of given partitions only if asked; an asset that moved may have several, all alike."""
+        from pyspark.sql.types import StructType
+
+        schema = StructType.fromDDL(self.manifest["attribute_schema"].removeprefix("struct<").removesuffix(">")).add("part_id", "long")
+        rows = self.spark.read.schema(schema).parquet(*[f"{self.store.path}/{n}" for n in self.manifest["attributes"]])
+        return rows if parts is None else rows.where(F.col("part_id").isin([int(p) for p in parts]))
+
     def refreshed(self) -> Index:
         return open_index(self.spark, self.store.path)
 
@@ -118,6 +133,19 @@ def table_name(kind: str) -> str:
     return f"t-{kind}-{uuid.uuid4().hex[:12]}"
 
 
+def attach_attributes(index: Index, attributes: DataFrame, placed: DataFrame | None = None) -> str:
+    """Write attributes in the order of their assets' partitions (of ``placed``, all visible rows by default); assets
+    without a vector stand in the delta's."""
+    placed = index.live() if placed is None else placed
+    where = placed.groupBy("asset_id").agg(F.max("part_id").alias("part_id"))
+    name = table_name("attributes")
+    rows = attributes.drop("part_id").join(where, "asset_id", "left").withColumn("part_id", F.coalesce("part_id", F.lit(DELTA_ID)))
+    files = max(1, -(-index.manifest["n_main"] // FILE_ROWS))
+    dealt = rows.repartitionByRange(files, "part_id", "asset_id") if files > 1 else rows.repartition(1)
+    dealt.sortWithinPartitions("part_id", "asset_id").write.option("parquet.block.size", ROW_GROUP_BYTES).parquet(f"{index.store.path}/{name}")
+    return name
+
+
 def write_vectors(store: Store, rows: DataFrame, n_rows: int, kind: str) -> str:
     """Write rows clustered by partition; the one full shuffle of a build."""
     name = table_name(kind)
@@ -156,11 +184,12 @@ def build(
     )
     n_rows = rows.count()
     centroids = train(rows, cfg, k)
-    assigned = assign_all(rows, centroids, ("asset_id", "vec_id", "seq"), cfg if cfg.balanced_final else None)
+    supers, labels = train_super(centroids, two_level, cfg.seed) if two_level else (None, None)
+    tops = (supers, labels) if two_level and centroids.k > ASSIGN_CENTRES and not cfg.balanced_final else None
+    assigned = assign_all(rows, centroids, ("asset_id", "vec_id", "seq"), cfg if cfg.balanced_final else None, tops)
     main = write_vectors(store, assigned, n_rows, "main")
     sizes = {r.part_id: r.n for r in store.table(main, VECTORS).groupBy("part_id").agg(F.count("*").alias("n")).collect()}
     centroids.members = np.array([sizes.get(i, 0) for i in range(centroids.k)], np.int64)
-    supers, labels = train_super(centroids, two_level, cfg.seed) if two_level else (None, None)
     names = {"main": [main], "centroids": [write_centroids(store, centroids, labels)], "delta": [], "tombstones": [], "supers": []}
     if two_level:
         top = table_name("supers")
@@ -187,4 +216,4 @@ def open_index(spark: SparkSession, path: str, version: int | None = None) -> In
     return Index(store, snapshots.load(store, version))
 
 
-__all__ = ["DELTA_ID", "Index", "build", "open_index", "write_centroids", "write_vectors"]
+__all__ = ["DELTA_ID", "Index", "attach_attributes", "build", "open_index", "write_centroids", "write_vectors"]

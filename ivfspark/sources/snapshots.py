@@ -97,18 +97,19 @@ def commit(store: Store, manifest: dict) -> dict:
         store.delete(lock)
 
 
-TABLES = ("main", "delta", "tombstones", "centroids", "supers")
+TABLES = ("main", "delta", "tombstones", "centroids", "supers", "attributes")
 
 
 def referenced(manifest: dict) -> set[str]:
-    return {name for kind in TABLES for name in manifest.get(kind, [])}
+    stored = json.loads(manifest.get("statistics", "{}")).get("tokens", {})
+    return {name for kind in TABLES for name in manifest.get(kind, [])} | set(stored.values())
 
 
 def vacuum(store: Store, keep: int = 2) -> list[str]:
     """Delete manifests beyond the last ``keep`` and tables that no kept manifest names."""
     known = versions(store)
     kept = known[-keep:]
-    used = {"attributes"}.union(*(referenced(load(store, v)) for v in kept)) if kept else set()
+    used = set().union(*(referenced(load(store, v)) for v in kept)) if kept else set()
     gone = []
     for name in store.names():
         stale = name.startswith("manifest-") and name.endswith(".json") and int(name[9:-5]) not in kept

@@ -11,9 +11,12 @@ from pyspark.sql import functions as F
 from ivfspark.config import DELTA_ID, IndexConfig
 from ivfspark.functions import vectors as V
 from ivfspark.operators import clustering, hybrid, measures, search, updates
+from ivfspark.catalog.common import private_index
+from ivfspark.functions import vectors
 from ivfspark.plans import planner, statistics
 from ivfspark.plans.predicates import Leaf, match_all, match_any
 from ivfspark.plans.scratch import scratch_path
+from ivfspark.plans.sharing import share
 from ivfspark.sources import collections, snapshots
 from ivfspark.sources.index import Index, build, open_index, write_centroids, write_vectors
 from ivfspark.sources.snapshots import Store
@@ -318,3 +321,71 @@ def test_servers_answer_alike(spark, sf, index):
         assert serving.DiskServer(one).search(q, 10, 3) == want
         assert serving.MemoryServer(one).search(q, 10, 3) == want
     assert serving.cold(index, q, 10, 3) == [(r.vec_id, r.dist) for r in search.ann(index, q, 10, 3).collect()]
+
+
+def test_replacing_vectors_is_no_growth(spark, sf):
+    """Fifty of 500 vectors are replaced six times: as many are live throughout, and nothing is rebuilt."""
+    index = private_index(spark, sf, CFG)
+    v = collections.v1(spark, sf).where("vec_id < 50").withColumn("asset_id", F.col("vec_id"))
+    for _ in range(6):
+        index, act = updates.maintain(updates.upsert(index, v), 0.5)
+        assert act == "flush" and index.manifest["n_main"] == 500 and updates.monitor(index).growth == pytest.approx(0)
+    assert index.live().count() == 500 and index.centroids().members.sum() == 500
+
+
+def test_probes_by_second_level(spark, sf, index, queries, monkeypatch):
+    """Through super centres the same results at a large share, and most neighbours at a smaller one."""
+    two = build(spark, scratch_path(spark, "two"), collections.v1(spark, sf), CFG, two_level=3)
+    whole = sorted(rows(search.ann_batch(two, queries, 5, 4)))
+    monkeypatch.setattr(search, "TWO_LEVEL_CENTRES", 1)
+    monkeypatch.setattr(search, "SUPER_SHARE", 1.0)
+    assert sorted(rows(search.ann_batch(two, queries, 5, 4))) == whole
+    x, centers = np.random.default_rng(0).normal(size=(300, 8)), np.random.default_rng(1).normal(size=(64, 8))
+    tops, labels = clustering.train_super(clustering.Centroids(centers, np.zeros(64, np.int64)), 8)
+    below = clustering.members_below(labels, len(tops))
+    near = clustering.nearest_below(x, centers, tops, below, "l2")
+    assert (near == clustering.nearest(x, centers, "l2")).mean() > 0.9
+
+
+def test_batches_of_any_size(spark, index, queries, monkeypatch):
+    whole = sorted(rows(search.ann_batch(index, queries, 5, 3)))
+    monkeypatch.setattr(search, "QUERY_BLOCK", 3)
+    assert sorted(rows(search.ann_batch(index, queries, 5, 3))) == whole
+
+
+def test_broadcasts_are_checked(spark):
+    with pytest.raises(ValueError, match="too many to broadcast"):
+        share(spark, (np.zeros(100), {1: np.zeros(50)}), "centres", 1000)
+
+
+def test_attributes_follow_their_vectors(spark, sf):
+    """Attributes stored by partition give the same filtered results before and after flushes and rebuilds, from fewer rows."""
+    attrs = collections.table(spark, sf, "documents").where("doc_id < 700").select(F.col("doc_id").alias("asset_id"), "lang", "n_chars")
+    index = statistics.attach(private_index(spark, sf, CFG), attrs, ["lang"])
+    assert statistics.stored_statistics(index).columns["lang"].n == attrs.count()
+    q, p = [0.1] * 64, Leaf("lang", "=", "en")
+    moved = collections.v1(spark, sf).where("vec_id < 30").select((F.col("vec_id") + 600).alias("asset_id"), (F.col("vec_id") + 5000).alias("vec_id"), "embedding")
+    grown = updates.upsert(index, moved)
+    flushed = updates.flush(grown)
+    for one in (index, grown, flushed, updates.rebuild(flushed)):
+        own = one.attributes()
+        assert own.dropDuplicates(["asset_id"]).count() == attrs.count()
+        asked = spark.createDataFrame([(1, q)], "qid long, qvec array<double>")
+        for n in (2, 100):
+            want = rows(hybrid.postfilter(one, attrs, q, 7, n, p))
+            assert rows(hybrid.postfilter(one, own, q, 7, n, p)) == want
+            assert [r[1:] for r in rows(hybrid.hybrid_batch(one, own, asked, 7, n, {1: p}))] == want
+    parts = search.probe(index.centroids(), q, 2)
+    plan = index.attributes(parts)._jdf.queryExecution().executedPlan().toString()
+    assert "part_id" in plan.split("PushedFilters")[1] and index.attributes(parts).count() < attrs.count()
+
+
+def test_range_join_finds_all_pairs(spark, sf):
+    base = collections.v1(spark, sf).where("vec_id < 200")
+    near = base.where("vec_id < 40").select((F.col("vec_id") + 1000).alias("vec_id"), F.transform("embedding", lambda x: (x * 1.05 + 0.004).cast("float")).alias("embedding"))
+    every = base.unionByName(near)
+    for metric, radius in (("l2", 0.9), ("cosine", 0.3)):
+        one = build(spark, scratch_path(spark, "near"), every, replace(CFG, metric=metric))
+        a, b = every.select(F.col("vec_id").alias("a"), F.col("embedding").alias("x")), every.select(F.col("vec_id").alias("b"), F.col("embedding").alias("y"))
+        want = {(r.a, r.b) for r in a.crossJoin(b).where("a < b").where(vectors.distance(F.col("x"), F.col("y"), metric) <= radius).select("a", "b").collect()}
+        assert {(r.a, r.b) for r in search.range_join(one, radius).collect()} == want and len(want) > 30
