@@ -19,10 +19,12 @@ import numpy as np
 TOKENIZER = "word_bpe_49k.json"
 #: Pieces and words kept by a worker; when full the memory starts anew. Words are what costs the tokenizer
 #: time, so more of them are kept: about 200 bytes each.
-MEMORY_PIECES = 600_000
+MEMORY_PIECES = 1_200_000
 MEMORY_WORDS = 1_000_000
 #: Letters, then ASCII signs other than the apostrophe, which the tokenizer may join to letters.
 _LETTERS_SIGNS = re.compile(r"([^\W\d_]+)([!-&(-/:-@\[-`{-~]*)\Z")
+#: The signs of that pattern.
+_SIGNS = frozenset("".join(map(chr, range(33, 127)))) - frozenset("'0123456789ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz")
 _WORD_END = "</w>"
 _encoders: dict[tuple[str, bool], Encoder] = {}
 
@@ -70,14 +72,20 @@ class Encoder:
         split: list[tuple[str, str, str]] = []
         new: dict[str, None] = {}
         for piece in pieces:
-            found = _LETTERS_SIGNS.match(piece)
-            word = found[1].lower() if found else ""
-            if word and word.isalpha() and "Σ" not in found[1]:  # a final sigma's lower case depends on its place
-                split.append((piece, word, found[2]))
+            if piece.isalpha():
+                letters, signs = piece, ""
+            elif piece[-1] in _SIGNS and piece[:-1].isalpha():
+                letters, signs = piece[:-1], piece[-1]
+            else:
+                found = _LETTERS_SIGNS.match(piece)
+                letters, signs = found.groups() if found else ("", "")
+            word = letters.lower()
+            if word.isalpha() and "Σ" not in letters:  # a final sigma's lower case depends on its place
+                split.append((piece, word, signs))
                 if word not in words:
                     new[word] = None
-                if found[2] not in words:
-                    words[found[2]] = self._ids(found[2]).tobytes()
+                if signs not in words:
+                    words[signs] = self._ids(signs).tobytes()
             else:
                 known[piece] = self._ids(piece).tobytes()
         if new:
@@ -89,18 +97,15 @@ class Encoder:
         if not self.split_spaces:
             return self._ids(text or "").tobytes()
         pieces = (text or "").replace("\n", " ").replace("\t", " ").replace("\r", " ").split(" ")
-        try:
-            known = self.known
-            return b"".join([known[p] for p in pieces])
-        except KeyError:
-            pass
-        if len(self.known) > MEMORY_PIECES:
-            self.known = {"": b""}
-        if len(self.words) > MEMORY_WORDS:
-            self.words = {"": b""}
-        known = self.known
-        self._learn([p for p in dict.fromkeys(pieces) if p not in known])
-        return b"".join([known[p] for p in pieces])
+        new = set(pieces).difference(self.known)
+        if new:
+            if len(self.known) > MEMORY_PIECES:
+                self.known = {"": b""}
+                new = set(pieces).difference(self.known)
+            if len(self.words) > MEMORY_WORDS:
+                self.words = {"": b""}
+            self._learn(list(new))
+        return b"".join(map(self.known.__getitem__, pieces))
 
     def encode_all(self, texts: Iterable[str | None]) -> list[bytes]:
         return [self.encode(t) for t in texts]
