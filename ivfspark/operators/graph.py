@@ -31,7 +31,7 @@ def _contract(edges: DataFrame, both_directions: bool) -> DataFrame:
     return moved.where(F.col("a") != F.col("b")).distinct()
 
 
-def connected_components(edges: DataFrame, max_rounds: int = 40) -> DataFrame:
+def connected_components(edges: DataFrame) -> DataFrame:
     """``edges(a long, b long)`` to ``(node, component)``, component = least id reachable.
 
     Only nodes with at least one link to another node are returned. Null ends and self links are
@@ -46,7 +46,7 @@ def connected_components(edges: DataFrame, max_rounds: int = 40) -> DataFrame:
     if current.isEmpty():
         return current.select(F.col("a").alias("node"), F.col("b").alias("component"))
     mark = None
-    for _ in range(max_rounds):
+    while True:  # a logarithm of the nodes in rounds
         current = materialize(_contract(_contract(current, True), False), "stars")
         row = current.agg(
             F.count("*"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)")), F.max("a"), F.min("b")
@@ -54,8 +54,6 @@ def connected_components(edges: DataFrame, max_rounds: int = 40) -> DataFrame:
         if mark == tuple(row):
             break
         mark = tuple(row)
-    else:
-        raise RuntimeError("components did not settle")
     stars = current.select(F.col("a").alias("node"), F.col("b").alias("component"))
     centres = current.select(F.col("b").alias("node")).distinct()
     return stars.unionByName(centres.select("node", F.col("node").alias("component")))
