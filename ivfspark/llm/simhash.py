@@ -30,8 +30,10 @@ SEED = 42
 RADIUS = 4
 TREE_ROWS = 1024
 LEAF_ROWS = 48
-#: Bit ranges that agree at least: two of six give 15 shard keys of 21 bits each.
-SPARE_RANGES = 2
+#: Bit ranges that agree at least, of radius + spare: two of six give 15 shard keys of 21 bits, three of seven 35 keys of 27
+#: bits, four of eight 70 keys of 32 bits. The least is taken whose keys leave most shards to one fingerprint.
+SPARE_RANGES = (2, 3, 4)
+SHARDS_A_FINGERPRINT = 64
 #: Shingles hashed before their bits are counted; bounds memory for very long texts.
 CHUNK = 1 << 16
 
@@ -144,8 +146,15 @@ def _masks(blocks: int, radius: int) -> list[int]:
     return [m - (1 << 64) if m >> 63 else m for m in masks]
 
 
-def links(distinct: DataFrame, radius: int = RADIUS, spare: int = SPARE_RANGES) -> DataFrame:
+def spare_ranges(n: int, radius: int = RADIUS) -> int:
+    """Ranges for ``n`` fingerprints: shorter keys are fewer rows, longer keys fewer chance meetings. Any choice finds all links."""
+    fitting = (s for s in SPARE_RANGES if n * SHARDS_A_FINGERPRINT <= 1 << 64 * s // (radius + s))
+    return next(fitting, SPARE_RANGES[-1])
+
+
+def links(distinct: DataFrame, radius: int = RADIUS, spare: int | None = None) -> DataFrame:
     """``distinct(fp, rep)`` to links ``(a, b)`` between reps that connect all pairs within ``radius``."""
+    spare = spare_ranges(distinct.count(), radius) if spare is None else spare
     masks = _masks(radius + spare, radius)
     shards = F.explode(F.array(*[F.struct(F.lit(i).alias("mask"), F.col("fp").bitwiseAND(F.lit(m)).alias("key")) for i, m in enumerate(masks)]))
     placed = distinct.select("fp", "rep", shards.alias("shard")).select("shard.mask", "shard.key", "fp", "rep")
