@@ -28,6 +28,8 @@ from pyspark.sql import functions as F
 _WORD = bytes(c if 0x30 <= c <= 0x39 or 0x61 <= c <= 0x7A or c >= 0x80 else c + 32 if 0x41 <= c <= 0x5A else 0x20 for c in range(256))
 WINDOW = 10
 SHINGLE = 5
+#: Bytes of benchmark text in a block; its packed arrays are about twelve times as large, on the driver and in each worker.
+BLOCK_BYTES = 8 << 20
 _MIX = np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -36,56 +38,65 @@ def words_of(text: bytes | None) -> list[bytes]:
     return (text or b"").translate(_WORD).split()
 
 
-def _hash(ids: np.ndarray, width: int) -> np.ndarray:
-    """Hash of every run of ``width`` ids."""
-    n = len(ids) - width + 1
-    out = np.zeros(max(n, 0), np.uint64)
-    for k in range(width if n > 0 else 0):
-        out = (out ^ ids[k : k + n].astype(np.uint64)) * _MIX
-        out ^= out >> np.uint64(29)
-    return out
-
-
 class Windows:
-    """A block of benchmark items: vocabulary, windows, and their shingles."""
+    """A block of benchmark items in packed arrays: vocabulary, windows by width, their items, and their shingles."""
 
     def __init__(self, items: list[tuple[object, bytes | None]], window: int, shingle: int):
         self.vocabulary: dict[bytes, int] = {}
-        self.windows: list[np.ndarray] = []
-        self.items: list[set] = []
-        known: dict[bytes, int] = {}
+        self.names = sorted({"" if item is None else str(item) for item, _ in items})
+        number = {name: i for i, name in enumerate(self.names)}
+        runs: dict[int, list[np.ndarray]] = defaultdict(list)
+        owners: dict[int, list[np.ndarray]] = defaultdict(list)
         for item, text in items:
-            ids = np.array([self.vocabulary.setdefault(w, len(self.vocabulary) + 1) for w in words_of(text)], np.int64)
-            for at in range(max(1, len(ids) - window + 1) if len(ids) else 0):
-                run = ids[at : at + window]
-                number = known.setdefault(run.tobytes(), len(self.windows))
-                if number == len(self.windows):
-                    self.windows.append(run)
-                    self.items.append(set())
-                self.items[number].add("" if item is None else str(item))
-        self.shingles: list[list[tuple[int, int]]] = []  # of each window: (width, hash)
-        for run in self.windows:
-            width = min(shingle, len(run))
-            self.shingles.append([(width, int(h)) for h in _hash(run, width)])
-        by_width = defaultdict(set)
-        for keys in self.shingles:
-            for width, h in keys:
-                by_width[width].add(h)
-        self.keys = {width: np.array(sorted(hs), np.uint64) for width, hs in by_width.items()}
+            ids = np.array([self.vocabulary.setdefault(w, len(self.vocabulary) + 1) for w in words_of(text)], np.int32)
+            if len(ids):
+                width = min(window, len(ids))
+                runs[width].append(np.lib.stride_tricks.sliding_window_view(ids, width))
+                owners[width].append(np.full(len(ids) - width + 1, number["" if item is None else str(item)], np.int32))
+        #: By width: the different windows, one a row, and their items (a row's lie between two bounds).
+        self.windows: dict[int, np.ndarray] = {}
+        self.bounds: dict[int, np.ndarray] = {}
+        self.items: dict[int, np.ndarray] = {}
+        for width in sorted(runs):
+            self.windows[width], row = np.unique(np.concatenate(runs.pop(width)), axis=0, return_inverse=True)
+            row, owner = row.ravel(), np.concatenate(owners.pop(width))
+            order = np.argsort(row, kind="stable")
+            self.items[width] = owner[order]
+            self.bounds[width] = np.searchsorted(row[order], np.arange(len(self.windows[width]) + 1))
+        self.widths = {width: min(shingle, width) for width in self.windows}  # of shingles, by width of windows
+        keys: dict[int, list[np.ndarray]] = defaultdict(list)
+        for width, short in self.widths.items():
+            keys[short].append(np.unique(self.shingles(width)))
+        self.keys = {short: np.unique(np.concatenate(parts)) for short, parts in keys.items()}
+
+    def shingles(self, width: int) -> np.ndarray:
+        """Hashes of the shingles of all windows of a width, one window a row."""
+        ids, short = self.windows[width], self.widths[width]
+        out = np.zeros((len(ids), width - short + 1), np.uint64)
+        for k in range(short):
+            out = (out ^ ids[:, k : k + out.shape[1]].astype(np.uint64)) * _MIX
+            out ^= out >> np.uint64(29)
+        return out
 
     def ids(self, words: list[bytes]) -> np.ndarray:
         get = self.vocabulary.get
         return np.fromiter((get(w, 0) for w in words), np.int64, len(words))
 
-    def order(self, counts: dict[tuple[int, int], int]) -> None:
-        """Keep each window's rarest shingle as its prefix."""
-        self.prefix: dict[int, dict[int, list[tuple[int, int]]]] = defaultdict(lambda: defaultdict(list))
-        for number, keys in enumerate(self.shingles):
-            at = min(range(len(keys)), key=lambda k: (counts.get(keys[k], 0), k))
-            width, h = keys[at]
-            self.prefix[width][h].append((at, number))
-        self.prefix = {w: dict(x) for w, x in self.prefix.items()}
-        self.prefix_keys = {w: np.array(sorted(x), np.uint64) for w, x in self.prefix.items()}
+    def order(self, counts: dict[int, np.ndarray]) -> None:
+        """Keep each window's rarest shingle as its prefix; ``counts`` go with ``keys``."""
+        found: dict[int, list[tuple]] = defaultdict(list)
+        for width, short in self.widths.items():
+            hashes = self.shingles(width)
+            at = counts[short][np.searchsorted(self.keys[short], hashes)].argmin(axis=1)
+            rows = np.arange(len(hashes))
+            found[short].append((hashes[rows, at], at.astype(np.int16), np.full(len(hashes), width, np.int16), rows.astype(np.int32)))
+        #: By width of shingles: prefixes in order, with the place in the window, the window's width and row.
+        self.prefix: dict[int, tuple[np.ndarray, ...]] = {}
+        for short, parts in found.items():
+            columns = [np.concatenate(c) for c in zip(*parts, strict=True)]
+            order = np.argsort(columns[0], kind="stable")
+            self.prefix[short] = tuple(c[order] for c in columns)
+        self.prefix_keys = {short: np.unique(columns[0]) for short, columns in self.prefix.items()}
 
 
 def _members(ids: np.ndarray, width: int, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -105,8 +116,8 @@ def _members(ids: np.ndarray, width: int, keys: np.ndarray) -> tuple[np.ndarray,
     return full[hit], spot[hit]
 
 
-def _counts(docs: DataFrame, shared) -> dict[tuple[int, int], int]:
-    """Occurrences of every benchmark shingle over all documents; as many rows as shingles at most."""
+def _counts(docs: DataFrame, shared) -> dict[int, np.ndarray]:
+    """Occurrences of every benchmark shingle over all documents, beside the block's keys; sums travel as arrays."""
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         block = shared.value
@@ -118,26 +129,36 @@ def _counts(docs: DataFrame, shared) -> dict[tuple[int, int], int]:
                     np.add.at(totals[width], _members(ids, width, keys)[1], 1)
         for width, total in totals.items():
             some = np.flatnonzero(total)
-            hashes = block.keys[width][some].view(np.int64)
-            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(some), width)), pa.array(hashes), pa.array(total[some])], ["width", "h", "n"])
-
-    rows = docs.select("text").mapInArrow(kernel, "width long, h long, n long").groupBy("width", "h").agg(F.sum("n").alias("n")).collect()
-    return {(r.width, r.h & 0xFFFFFFFFFFFFFFFF): r.n for r in rows}
+            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(some), width)), pa.array(some), pa.array(total[some])], ["width", "at", "n"])
+
+    rows = docs.select("text").mapInArrow(kernel, "width long, at long, n long").groupBy("width", "at").agg(F.sum("n").alias("n")).toArrow()
+    out = {}
+    for width, keys in shared.value.keys.items():
+        own = rows["width"].to_numpy() == width
+        out[width] = np.zeros(len(keys), np.int64)
+        out[width][rows["at"].to_numpy()[own]] = rows["n"].to_numpy()[own]
+    return out
 
 
 def _hits(block: Windows, ids: np.ndarray) -> tuple[np.ndarray, set[str]]:
     """Marks of the words inside occurring windows, and the items that own these windows."""
     edge = np.zeros(len(ids) + 1, np.int64)
-    found: set[str] = set()
-    for width, keys in block.prefix_keys.items():
-        for place, key in zip(*_members(ids, width, keys), strict=True):
-            for offset, number in block.prefix[width][int(keys[key])]:
-                run, start = block.windows[number], int(place) - offset
-                if start >= 0 and start + len(run) <= len(ids) and np.array_equal(ids[start : start + len(run)], run):
+    found: set[int] = set()
+    for short, keys in block.prefix_keys.items():
+        hashes, offsets, widths, rows = block.prefix[short]
+        places, spots = _members(ids, short, keys)
+        if not len(places):
+            continue
+        first, last = np.searchsorted(hashes, keys[spots], side="left"), np.searchsorted(hashes, keys[spots], side="right")
+        for place, lo, hi in zip(places.tolist(), first.tolist(), last.tolist(), strict=True):
+            for i in range(lo, hi):
+                width, row, start = int(widths[i]), rows[i], place - int(offsets[i])
+                if start >= 0 and start + width <= len(ids) and np.array_equal(ids[start : start + width], block.windows[width][row]):
                     edge[start] += 1
-                    edge[start + len(run)] -= 1
-                    found |= block.items[number]
-    return np.cumsum(edge[:-1]) > 0, found
+                    edge[start + width] -= 1
+                    bounds = block.bounds[width]
+                    found.update(block.items[width][bounds[row] : bounds[row + 1]].tolist())
+    return np.cumsum(edge[:-1]) > 0, {block.names[i] for i in found}
 
 
 def _blocks(benchmark: DataFrame, block_bytes: int) -> int:
@@ -150,7 +171,7 @@ def contamination(
     benchmark: DataFrame,
     window: int = WINDOW,
     shingle: int = SHINGLE,
-    block_bytes: int = 32 << 20,
+    block_bytes: int = BLOCK_BYTES,
 ) -> DataFrame:
     """Per document: ``doc_id, n_words, n_hit, n_items, items`` (sorted, as strings).
 
@@ -159,16 +180,16 @@ def contamination(
     spark = docs.sparkSession
     text = F.col("text").cast("binary")
     source = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text.alias("text"))
-    bench = benchmark.select("item_id", F.col("text").cast("binary").alias("text"))
+    bench = benchmark.select("item_id", F.col("text").cast("binary").alias("text")).distinct()  # repeated rows are one item
     n_blocks = _blocks(bench, block_bytes)
     if n_blocks > 1:
         source = source.withColumn("digest", F.md5("text"))
 
     def joined(number: int) -> DataFrame:
-        rows = bench.where(F.pmod(F.xxhash64("text"), F.lit(n_blocks)) == number).collect()  # at most a block's bytes
+        rows = bench.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(n_blocks)) == number).collect()  # at most a block's bytes
         block = Windows([(r.item_id, bytes(r.text) if r.text is not None else None) for r in rows], window, shingle)
         shared = spark.sparkContext.broadcast(block)
-        block.order(_counts(source, shared) if block.windows else {})
+        block.order(_counts(source, shared))
         ordered = spark.sparkContext.broadcast(block)
 
         def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
