@@ -20,11 +20,11 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
-from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ivfspark.llm.tokens import encoder, tokenizer_path
 from ivfspark.llm.wavelet import WaveletMatrix
+from ivfspark.operators.prefix import running_total
 from ivfspark.plans.scratch import materialize, scratch_path
 
 END_ID = 1
@@ -102,8 +102,7 @@ def write_shards(
     dealt = source.repartitionByRange(n_parts, "doc_id") if n_parts > 1 else source.coalesce(1)
     schema = "part long, piece long, path string, n_docs long, n_tokens long, n_bytes long"
     written = materialize(dealt.sortWithinPartitions("doc_id", "text").mapInArrow(kernel, schema), "manifest")
-    before = W.orderBy("part", "piece").rowsBetween(W.unboundedPreceding, -1)
-    return written.withColumn("start", F.coalesce(F.sum("n_tokens").over(before), F.lit(0)).cast("long"))
+    return running_total(written, F.floor(F.col("part") / 1024), [F.col("part"), F.col("piece")], F.col("n_tokens"), "start")
 
 
 def read_shards(manifest: DataFrame) -> DataFrame:
@@ -123,7 +122,7 @@ def read_shards(manifest: DataFrame) -> DataFrame:
                     ["doc_id", "start", "n_tokens", "ids_crc32"],
                 )
 
-    files = manifest.select("path", "start").repartition(max(1, min(10_000, manifest.count())), "path")
+    files = manifest.select("path", "start").repartition(max(1, manifest.count()), "path")
     return files.mapInArrow(kernel, "doc_id long, start long, n_tokens long, ids_crc32 long")
 
 
