@@ -2,14 +2,15 @@
 
 Each stage takes ``(spark, docs, sf_dir)``; its result is written as parquet and read again as the next
 stage's ``docs``. All stages but the last return the columns of documents. Decisions are made and applied
-row by row: a stage numbers its rows once and passes the numbers through the operator, so rows without id,
-and different texts under one id, are each judged by themselves.
+row by row: a stage numbers its rows by file and place and passes the numbers through the operator, so rows without
+id, and different texts under one id, are each judged by themselves.
 """
 
 from __future__ import annotations
 
 from collections.abc import Callable
 
+from pyspark.errors import AnalysisException
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -23,12 +24,22 @@ from ivfspark.plans.scratch import materialize
 Stage = Callable[[SparkSession, DataFrame, str], DataFrame]
 
 
-#: A row's number within a stage; written with the rows, so that every reading has the same numbers.
+#: A row's number within a stage.
 ROW = "_row"
+#: Bits of a row's place in its file; the file's number stands above them.
+PLACE_BITS = 40
 
 
 def _numbered(docs: DataFrame) -> DataFrame:
-    return materialize(docs.withColumn(ROW, F.monotonically_increasing_id()), "rows")
+    """Rows with numbers that are the same in every reading: file and place in it. Rows that are not read from files
+    are written once."""
+    try:
+        placed = docs.select("*", F.col("_metadata.file_path").alias("_file"), F.col("_metadata.row_index").alias("_place"))
+        files = placed.select("_file").distinct().orderBy("_file").collect()  # one row a file
+    except AnalysisException:
+        return materialize(docs.withColumn(ROW, F.monotonically_increasing_id()), "rows")
+    numbers = docs.sparkSession.createDataFrame([(r._file, i << PLACE_BITS) for i, r in enumerate(files)], "_file string, _base long")
+    return placed.join(F.broadcast(numbers), "_file").withColumn(ROW, F.col("_base") + F.col("_place")).select(*docs.columns, ROW)
 
 
 def _keep(rows: DataFrame, numbers: DataFrame) -> DataFrame:
