@@ -406,7 +406,7 @@ def hybrid_plan_by_bin(spark, sf_dir):
 
 _BINS = (
     O.index()
-    + f""", {ATTRIBUTES}, nn AS (SELECT count(*) AS n, count(*) / (SELECT count(*) FROM cen) AS size FROM att), po AS MATERIALIZED (SELECT asset_id, unnest(tokens) AS token FROM att),
+    + f""", {ATTRIBUTES}, nn AS (SELECT count(*) AS n, (SELECT count(*) FROM x) / (SELECT count(*) FROM cen) AS size FROM att), po AS MATERIALIZED (SELECT asset_id, unnest(tokens) AS token FROM att),
 df AS MATERIALIZED (SELECT token, count(*) AS df FROM po GROUP BY token),
 mt AS MATERIALIZED (SELECT asset_id, arg_max(token, (df, token)) AS mate FROM po JOIN df USING (token) GROUP BY asset_id),
 bk AS (SELECT asset_id, token, df, CASE WHEN df * 10 >= n THEN -1 WHEN df * 100 >= n THEN -2 WHEN df * 1000 >= n THEN -3 ELSE -4 END AS bin FROM po JOIN df USING (token), nn),
