@@ -364,3 +364,23 @@ def test_near_copies_equal_all_pairs(shipped, awkward, empty):
     assert [got[i] for i in range(len(texts))] == group and far > 5
     assert near_copies.near_copies(awkward.where("doc_id IS NOT NULL").dropDuplicates(["doc_id"])).count() == 10
     assert near_copies.near_copies(empty).count() == 0
+
+
+def test_sketched_members_equal_all_pairs(monkeypatch):
+    monkeypatch.setattr(near_copies, "SKETCH", 400)
+    rng = np.random.default_rng(5)
+    sets = []
+    for size in (60, 390, 410, 2500):  # sketches whole, at the border of a level, and of a share of the hashes
+        base = rng.integers(0, 1 << 63, size, np.uint64)
+        for cut in (0.02, 0.05, 0.3, 0.3, 0.5):
+            keep = base[rng.random(size) > cut]
+            sets.append(np.unique(np.concatenate([keep, rng.integers(0, 1 << 63, int(size * cut / 4), np.uint64)])))
+    reps, sizes = np.arange(len(sets)), np.array([len(s) for s in sets])
+    groups = np.where(reps % 5 == 0, 0, reps)  # the first of each base is in the main group, the others stand alone
+    like = {(a, b) for a in reps for b in reps if a < b and groups[a] != groups[b] and len(np.intersect1d(sets[a], sets[b])) * 5 >= 4 * len(np.union1d(sets[a], sets[b]))}
+    drawn = [near_copies.sketch(s) for s in sets]
+    found = {tuple(sorted(p)) for p in near_copies.similar_members(reps, groups, np.zeros(len(sets), int), sizes, np.zeros(len(sets), int), drawn)}
+    assert len(like) >= 4 and like <= found and len(found) < len(like) + 20
+    sides = reps % 2
+    across = {tuple(sorted(p)) for p in near_copies.similar_members(reps, groups, np.zeros(len(sets), int), sizes, sides, drawn)}
+    assert across == {(a, b) for a, b in found if sides[a] != sides[b]}
