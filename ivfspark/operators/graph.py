@@ -31,6 +31,14 @@ def _contract(edges: DataFrame, both_directions: bool) -> DataFrame:
     return moved.where(F.col("a") != F.col("b")).distinct()
 
 
+def _all_stars(edges: DataFrame) -> bool:
+    """Whether every node hangs from one node at most, and none that hangs has others below it."""
+    ends = edges.select(F.col("a").alias("node"), F.lit(1).alias("up"), F.lit(0).alias("down"))
+    ends = ends.unionByName(edges.select(F.col("b").alias("node"), F.lit(0).alias("up"), F.lit(1).alias("down")))
+    nodes = ends.groupBy("node").agg(F.sum("up").alias("ups"), F.max("down").alias("down"))
+    return nodes.where("ups > 1 or ups = 1 and down = 1").agg(F.count("*")).first()[0] == 0
+
+
 def connected_components(edges: DataFrame) -> DataFrame:
     """``edges(a long, b long)`` to ``(node, component)``, component = least id reachable.
 
@@ -43,17 +51,8 @@ def connected_components(edges: DataFrame) -> DataFrame:
         .distinct(),
         "edges",
     )
-    if current.isEmpty():
-        return current.select(F.col("a").alias("node"), F.col("b").alias("component"))
-    mark = None
-    while True:  # a logarithm of the nodes in rounds
+    while not _all_stars(current):  # a logarithm of the nodes in rounds
         current = materialize(_contract(_contract(current, True), False), "stars")
-        row = current.agg(
-            F.count("*"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)")), F.max("a"), F.min("b")
-        ).first()
-        if mark == tuple(row):
-            break
-        mark = tuple(row)
     stars = current.select(F.col("a").alias("node"), F.col("b").alias("component"))
     centres = current.select(F.col("b").alias("node")).distinct()
     return stars.unionByName(centres.select("node", F.col("node").alias("component")))
