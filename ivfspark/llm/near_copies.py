@@ -239,6 +239,7 @@ def near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text")
     centres = found.select(F.col("node").alias("centre"), F.col("component").alias("main"))
     grouped = materialize(grouped.join(centres, "centre", "left").withColumn("main", F.coalesce("main", "centre")), "grouped")
     second = materialize(confirmed(_open_pairs(grouped, source), source), "links")
-    whole = connected_components(first.unionByName(second)).withColumnRenamed("node", "rep")
+    stars = found.select(F.col("node").alias("a"), F.col("component").alias("b"))
+    whole = connected_components(stars.unionByName(second)).withColumnRenamed("node", "rep")
     named = distinct.select("digest", "rep").join(whole, "rep", "left").select("digest", F.coalesce("component", "rep").alias("component_id"))
     return signed.select("doc_id", "digest").join(named, "digest").select("doc_id", "component_id")
