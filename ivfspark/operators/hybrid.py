@@ -16,7 +16,7 @@ from pyspark.sql import functions as F
 
 from ivfspark.config import DELTA_ID
 from ivfspark.functions.vectors import distance, literal, matrix
-from ivfspark.operators.search import RESULT, _parts_for, _ranked, _united, ann, asked_by, nearest_in, probes_for, query_blocks, top_k_per_query
+from ivfspark.operators.search import RESULT, _parts_for, _ranked, _united, ann, asked_by, nearest_in, probes_for, query_blocks, top_k_per_query, within_reach
 from ivfspark.plans.sharing import share
 from ivfspark.plans.planner import Plan, choose
 from ivfspark.plans.predicates import Predicate
@@ -51,8 +51,8 @@ def postfilter(
     """Search through the index under a predicate.
 
     fused joins qualifying assets inside the partition scan, before the top k; otherwise the top
-    k * overfetch are filtered afterwards and fewer than k may remain. ``widen`` doubles the probes until k
-    rows or all partitions are found.
+    k * overfetch are filtered afterwards and fewer than k may remain. ``widen`` doubles the probes until k rows
+    are found, and then reads all partitions in which a nearer one may lie: the result is that of ``prefilter``.
     """
     own = index.centroids()
     if not fused:
@@ -60,12 +60,20 @@ def postfilter(
         first = ann(index, query, k * overfetch, n, parts=parts)
         named = first.join(index.live(parts).select("vec_id", "asset_id"), "vec_id")
         return _ranked(named.join(qualifying(attributes, predicate), "asset_id", "left_semi").select("vec_id", "dist"), k)
-    while True:
-        rows = _joined(index, attributes, _parts_for(index, query, n), predicate.to_column(), None)
-        found = _ranked(rows.select("vec_id", distance(F.col("embedding"), literal(query), index.metric).alias("dist")), k)
-        if not widen or n >= own.k or found.count() >= k:
-            return found
-        n = min(own.k, 2 * n)
+
+    def found(parts: list[int]) -> DataFrame:
+        rows = _joined(index, attributes, parts, predicate.to_column(), None)
+        return _ranked(rows.select("vec_id", distance(F.col("embedding"), literal(query), index.metric).alias("dist")), k)
+
+    if not widen:
+        return found(_parts_for(index, query, n))
+    while n < own.k:
+        parts = _parts_for(index, query, n)
+        dists = [r.dist for r in found(parts).collect()]  # k rows
+        if len(dists) == k:
+            return found(sorted({*parts, *within_reach(index, query, max(dists))}))
+        n *= 2
+    return found(list(range(own.k)))
 
 
 def _joined(index: Index, attributes: DataFrame, parts: list[int], qualifies: Column, flags: Column | None) -> DataFrame:
